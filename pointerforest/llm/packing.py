@@ -37,8 +37,9 @@ from ._spark import documents, stored
 from ._text import ids_of, ids_out
 
 #: Entries of a worker's memo of encoded stretches; beyond it the memo starts afresh.
-MEMO = 300_000
+MEMO = 1_000_000
 _ODD = ("\x1c", "\x1d", "\x1e", "\x1f")
+_MARK = "\x01"
 _encoders: dict[str, tuple[object, dict[str, bytes]]] = {}
 
 
@@ -182,10 +183,24 @@ def encode_all(tokenizer, memo: dict[str, bytes], texts: list[str]) -> list[byte
     if len(memo) + len(new) > MEMO:
         memo.clear()
         new = list({w for p in parts if p for w in p})
-    for at in range(0, len(new), 20_000):
-        some = new[at : at + 20_000]
-        for w, e in zip(some, tokenizer.encode_batch_fast(some, add_special_tokens=False), strict=True):
-            memo[w] = np.array(e.ids, "<u4").tobytes()
+    # Many stretches at a time, with a control character between that is a token of its own.
+    alone = [w for w in new if _MARK in w or "<|" in w]
+    for w in alone:
+        memo[w] = np.array(tokenizer.encode(w, add_special_tokens=False).ids, "<u4").tobytes()
+    new = [w for w in new if _MARK not in w and "<|" not in w] if alone else new
+    mark = tokenizer.encode(_MARK, add_special_tokens=False).ids
+    for at in range(0, len(new), 64 * 256):
+        groups = [new[i : i + 64] for i in range(at, min(len(new), at + 64 * 256), 64)]
+        found = tokenizer.encode_batch_fast([f" {_MARK} ".join([*g, ""]) for g in groups], add_special_tokens=False)
+        for group, e in zip(groups, found, strict=True):
+            ids = np.array(e.ids, "<u4")
+            ends = (4 * np.flatnonzero(ids == mark[0])).tolist()
+            if len(mark) != 1 or len(ends) != len(group):
+                raise ValueError("the vocabulary has no token of its own for the mark")
+            raw, start = ids.tobytes(), 0
+            for w, end in zip(group, ends, strict=True):
+                memo[w] = raw[start:end]
+                start = end + 4
     get = memo.__getitem__
     return [np.array(tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes() if p is None else b"".join(map(get, p)) for t, p in zip(texts, parts, strict=True)]
 
