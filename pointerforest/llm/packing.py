@@ -36,11 +36,11 @@ from pyspark.sql.window import Window
 from ._spark import documents, stored
 from ._text import ids_of, ids_out
 
-#: Entries of a worker's memo of encoded stretches; beyond it the memo starts afresh.
-MEMO = 1_000_000
+#: Entries of a worker's memo of encoded pre-tokens.
+MEMO = 500_000
 _ODD = ("\x1c", "\x1d", "\x1e", "\x1f")
 _MARK = "\x01"
-_encoders: dict[str, tuple[object, dict[str, bytes]]] = {}
+_encoders: dict[str, tuple[object, Memo]] = {}
 
 
 class Counts:
@@ -171,23 +171,27 @@ def slots_of(plan: list[tuple[tuple[int, ...], int]]) -> dict[int, tuple[np.ndar
     return {s: tuple(np.array(c, np.int64) for c in zip(*x, strict=True)) for s, x in got.items()}
 
 
-def encode_all(tokenizer, memo: dict[str, bytes], texts: list[str]) -> list[bytes]:
-    """Ids of each text as little-endian unsigned 32-bit numbers; fills the memo.
+class Memo:
+    """Ids of pre-tokens met before; the older half goes when ``MEMO`` entries are reached."""
 
-    White space never lies inside a token of this tokenizer, so texts are encoded by
-    the stretches between it. Texts with control characters that only str.split()
-    takes for white space are encoded whole.
-    """
-    parts = [None if any(c in t for c in _ODD) else t.split() for t in texts]
-    new = [w for w in {w for p in parts if p for w in p} if w not in memo]
-    if len(memo) + len(new) > MEMO:
-        memo.clear()
-        new = list({w for p in parts if p for w in p})
-    # Many stretches at a time, with a control character between that is a token of its own.
-    alone = [w for w in new if _MARK in w or "<|" in w]
-    for w in alone:
-        memo[w] = np.array(tokenizer.encode(w, add_special_tokens=False).ids, "<u4").tobytes()
-    new = [w for w in new if _MARK not in w and "<|" not in w] if alone else new
+    def __init__(self):
+        self.young: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+
+    def fill(self, tokenizer, pieces: set[str]) -> dict[str, bytes]:
+        """Ids of these pieces as little-endian unsigned 32-bit numbers."""
+        got = {w: ids for w in pieces if (ids := self.young.get(w) or self.old.get(w)) is not None}
+        got |= encode_new(tokenizer, [w for w in pieces if w not in got])
+        if len(self.young) + len(got) > MEMO // 2:
+            self.old, self.young = self.young, {}
+        self.young.update(got)
+        return got
+
+
+def encode_new(tokenizer, new: list[str]) -> dict[str, bytes]:
+    """Many stretches at a time, with a control character between that is a token of its own."""
+    out = {w: np.array(tokenizer.encode(w, add_special_tokens=False).ids, "<u4").tobytes() for w in new if _MARK in w or "<|" in w}
+    new = [w for w in new if w not in out] if out else new
     mark = tokenizer.encode(_MARK, add_special_tokens=False).ids
     for at in range(0, len(new), 64 * 256):
         groups = [new[i : i + 64] for i in range(at, min(len(new), at + 64 * 256), 64)]
@@ -199,9 +203,41 @@ def encode_all(tokenizer, memo: dict[str, bytes], texts: list[str]) -> list[byte
                 raise ValueError("the vocabulary has no token of its own for the mark")
             raw, start = ids.tobytes(), 0
             for w, end in zip(group, ends, strict=True):
-                memo[w] = raw[start:end]
+                out[w] = raw[start:end]
                 start = end + 4
-    get = memo.__getitem__
+    return out
+
+
+_TAILS = frozenset(".,!?;:|")
+
+
+def encode_all(tokenizer, memo: Memo, texts: list[str]) -> list[bytes]:
+    """Ids of each text as little-endian unsigned 32-bit numbers; fills the memo.
+
+    White space never lies inside a token of this tokenizer, so texts are encoded by
+    the stretches between it; letters with one mark behind them are two pre-tokens,
+    which many stretches share. Texts with control characters that only str.split()
+    takes for white space are encoded whole.
+    """
+    parts = [None if any(c in t for c in _ODD) else t.split() for t in texts]
+    words: set[str] = set()
+    for p in parts:
+        if p:
+            words.update(p)
+    split, pieces = {}, set(_TAILS)
+    for w in words:
+        core = w[:-1] if w[-1] in _TAILS else w
+        if core.isalpha() and "\u03a3" not in core:
+            split[w] = core = core.lower()
+            pieces.add(core)
+        else:
+            pieces.add(w)
+    ids = memo.fill(tokenizer, pieces)
+    tail = {t: ids[t] for t in _TAILS}
+    for w, core in split.items():
+        words_ids = ids[core]
+        ids[w] = words_ids + tail[w[-1]] if w[-1] in tail else words_ids
+    get = ids.__getitem__
     return [np.array(tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes() if p is None else b"".join(map(get, p)) for t, p in zip(texts, parts, strict=True)]
 
 
@@ -214,11 +250,11 @@ def token_pieces(docs: DataFrame, vocabulary: str, *, capacity: int = 2048, end_
         if vocabulary not in _encoders:
             from tokenizers import Tokenizer
 
-            _encoders[vocabulary] = (Tokenizer.from_file(vocabulary), {})
+            _encoders[vocabulary] = (Tokenizer.from_file(vocabulary), Memo())
         tokenizer, memo = _encoders[vocabulary]
         for batch in batches:
-            for at in range(0, batch.num_rows, 1000):
-                part = batch.slice(at, 1000)
+            for at in range(0, batch.num_rows, 2000):
+                part = batch.slice(at, 2000)
                 ids = ids_of(part.column(0))
                 owner, piece, start, length, crc, raw = [], [], [], [], [], []
                 for i, e in enumerate(encode_all(tokenizer, memo, part.column(1).fill_null("").to_pylist())):
