@@ -37,7 +37,8 @@ from ._exchange import Chunked, ask_prints, cut, mail, note_to_self, print_keys,
 from ._spark import documents
 from ._text import BYTE_CODE, BYTE_POWERS, U, flat_bytes, groups_of, ids_of, ids_out, mix, prefix_hash, span_hash
 
-_BLOCK = 1 << 22
+#: Bytes hashed at a time; small enough for the arrays to stay in cache.
+_BLOCK = 1 << 17
 _PLACE_BITS = U(24)
 
 
@@ -54,30 +55,42 @@ def sliding_least(x: np.ndarray, width: int) -> np.ndarray:
 
 
 class Anchors:
-    """For every window of a chunk that lies in one document: anchor hash and place."""
+    """Runs of windows of one document that share their anchor.
+
+    place: first byte of the anchor; first, last: starts of the windows; value: anchor hash.
+    """
 
     def __init__(self, data: np.ndarray, offsets: np.ndarray, length: int, gram: int):
-        self.start, self.value, self.place = [], [], []
-        for a, e, upto in self._blocks(offsets, length):
-            part = data[a:e]
-            prefix = prefix_hash(BYTE_CODE[part], BYTE_POWERS)
-            at = np.arange(max(0, len(part) - gram + 1))
-            grams = mix(span_hash(prefix, at, at + gram, BYTE_POWERS))
-            least = sliding_least((grams >> _PLACE_BITS) << _PLACE_BITS | at.astype(U), length - gram + 1)
-            inner = offsets[(offsets > a) & (offsets < e)] - a
-            ok = np.ones(len(least) + 1, np.int64)
-            if len(inner):  # windows over an edge between documents don't count
-                edge = np.zeros(len(least) + 2, np.int64)
-                np.add.at(edge, np.clip(inner - length + 1, 0, len(least)), 1)
-                np.subtract.at(edge, np.clip(inner, 0, len(least)), 1)
-                ok = np.cumsum(edge)[:-1] == 0
-            start = np.flatnonzero(ok[: len(least)])
-            start = start[start < upto - a]
-            self.start.append(start + a)
-            self.value.append(least[start] >> _PLACE_BITS)
-            self.place.append((least[start] & ((U(1) << _PLACE_BITS) - U(1))).astype(np.int64) + a)
-        join = lambda x, kind: np.concatenate(x) if x else np.zeros(0, kind)
-        self.start, self.value, self.place = join(self.start, np.int64), join(self.value, U), join(self.place, np.int64)
+        runs = [self._runs(data, offsets, a, e, upto, length, gram) for a, e, upto in self._blocks(offsets, length)]
+        join = lambda k, kind: np.concatenate([r[k] for r in runs]) if runs else np.zeros(0, kind)
+        self.place, self.first, self.last = (join(k, np.int64) for k in range(3))
+        self.value = join(3, U)
+
+    @staticmethod
+    def _runs(data, offsets, a: int, e: int, upto: int, length: int, gram: int):
+        part = data[a:e]
+        prefix = prefix_hash(BYTE_CODE[part], BYTE_POWERS)
+        n = max(0, len(part) - gram + 1)
+        grams = (prefix[gram:] - prefix[:n]) * BYTE_POWERS.get(len(prefix))[1][:n] if n else np.zeros(0, U)
+        grams ^= grams >> U(31)
+        grams *= U(0xFF51AFD7ED558CCD)
+        grams &= ~((U(1) << _PLACE_BITS) - U(1))
+        grams |= np.arange(n, dtype=U)
+        least = sliding_least(grams, length - gram + 1)[: upto - a]
+        ok = np.ones(len(least), bool)
+        inner = offsets[np.searchsorted(offsets, a, "right") : np.searchsorted(offsets, e)] - a
+        if len(inner):  # windows over an edge between documents don't count
+            edge = np.zeros(len(least) + 1, np.int64)
+            np.add.at(edge, np.clip(inner - length + 1, 0, len(least)), 1)
+            np.subtract.at(edge, np.clip(inner, 0, len(least)), 1)
+            ok = np.cumsum(edge)[:-1] == 0
+        new = ok.copy()
+        new[1:] &= (least[1:] != least[:-1]) | ~ok[:-1]
+        end = ok.copy()
+        end[:-1] &= new[1:] | ~ok[1:]
+        first, last = np.flatnonzero(new), np.flatnonzero(end)
+        least = least[first]
+        return (least & ((U(1) << _PLACE_BITS) - U(1))).astype(np.int64) + a, first + a, last + a, least >> _PLACE_BITS
 
     @staticmethod
     def _blocks(offsets: np.ndarray, length: int):
@@ -101,8 +114,9 @@ def _common(ha: np.ndarray, a: np.ndarray, b: np.ndarray, width: int) -> np.ndar
 def suffix_order(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Order of byte rows, and common extension of each with the one before it.
 
-    A bottom-up mergesort: all pairs of runs of a level are merged at once; the place
-    of a row is its own rank plus its rank in the other run, found by binary search.
+    Rows are first dealt by their first eight bytes; rows that agree there are
+    mergesorted bottom-up, all pairs of runs of a level at once: the place of a row is
+    its own rank plus its rank in the other run, found by binary search.
     """
     n, width = rows.shape
     if not n:
@@ -111,31 +125,37 @@ def suffix_order(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     np.cumsum(BYTE_CODE[rows] * BYTE_POWERS.get(width)[0], axis=1, out=hashes[:, 1:])
     padded = np.zeros((n, width + 1), np.uint8)
     padded[:, :-1] = rows
-
-    def less(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        k = _common(hashes, a, b, width)
-        return padded[a, k] < padded[b, k], k == width
-
-    order, run = np.arange(n), 1
-    place = np.arange(n)
-    while run < n:
-        left = (place // run) % 2 == 0
-        other = np.where(left, (place // run + 1) * run, (place // run - 1) * run)
-        low, high = np.minimum(other, n), np.minimum(other + run, n)
-        base = low.copy()
+    head = np.zeros((n, 8), np.uint8)
+    head[:, : min(8, width)] = rows[:, :8]
+    head = head.view(">u8").ravel().astype(U)
+    order = np.argsort(head, kind="stable")
+    begin = np.flatnonzero(np.append(True, head[order[1:]] != head[order[:-1]]))
+    size = np.diff(np.append(begin, n))
+    run = 1
+    while run < size.max():
+        live = np.repeat(size > run, size)  # places in groups that are not one run yet
+        place = np.flatnonzero(live)
+        base = np.repeat(begin, size)[place]
+        end = base + np.repeat(size, size)[place]
+        local = place - base
+        left = (local // run) % 2 == 0
+        other = base + np.where(left, local // run + 1, local // run - 1) * run
+        low, high = np.minimum(other, end), np.minimum(other + run, end)
+        from_ = low.copy()
         for _ in range(int(run).bit_length()):
             going = np.flatnonzero(low < high)
             if not len(going):
                 break
             mid = (low[going] + high[going]) >> 1
-            smaller, equal = less(order[mid], order[going])
-            smaller |= equal & ~left[going]  # of equals, the left run goes first
+            a, b = order[mid], order[place[going]]
+            k = _common(hashes, a, b, width)
+            # Of equals, the left run goes first.
+            smaller = (padded[a, k] < padded[b, k]) | (k == width) & ~left[going]
             low[going] = np.where(smaller, mid + 1, low[going])
             high[going] = np.where(smaller, high[going], mid)
-        start = place // (2 * run) * (2 * run)
-        target = start + place % run + (low - base)
-        merged = np.empty(n, np.int64)
-        merged[target] = order
+        target = base + local // (2 * run) * (2 * run) + local % run + (low - from_)
+        merged = order.copy()
+        merged[target] = order[place]
         order, run = merged, 2 * run
     common = np.append(0, _common(hashes, order[:-1], order[1:], width))
     # Verify on the bytes what the hashes claim.
@@ -218,83 +238,69 @@ def remove_repeated_bytes(docs: DataFrame, *, length: int = 50, gram: int = 16,
         data, offsets = flat_bytes(table["text"])
         ids = ids_of(table["doc_id"])
         w = Anchors(data, offsets, length, gram)
-        # Documents by id: repeated ids are one document.
-        number = np.cumsum(np.append(0, ids[1:] != ids[:-1])) if len(ids) else np.zeros(0, np.int64)
-        row = np.searchsorted(offsets, w.start, "right") - 1
         keys, which = np.unique(print_keys(mix(w.value), buckets), return_inverse=True) if len(w.value) else (np.zeros(0, U), np.zeros(0, np.int64))
-        return table["chunk"][0].as_py(), data, offsets, ids, w, number[row], row, keys, which
+        return table["chunk"][0].as_py(), data, offsets, ids, w, keys, which
 
     def first(table: pa.Table) -> pa.Table:
         chunk, *_, keys, _ = read(table)
         return ask_prints(chunk, keys, buckets)
 
-    def candidates(state, flags: np.ndarray):
-        """Pieces of this chunk: their rows, each with its run of windows and document."""
-        _, data, offsets, ids, w, number, row, keys, which = state
+    def second(table: pa.Table, box: dict[int, bytes]) -> pa.Table:
+        if not table.num_rows:
+            return mail(0, np.zeros(0, np.int64), [])
+        chunk, data, offsets, ids, w, keys, which = read(table)
+        # Documents by id: rows that repeat an id are one document.
+        number = np.cumsum(np.append(0, ids[1:] != ids[:-1]))[np.searchsorted(offsets, w.first, "right") - 1]
         low, high = np.full(len(keys), np.iinfo(np.int64).max), np.full(len(keys), -1)
         np.minimum.at(low, which, number)
         np.maximum.at(high, which, number)
-        hit = np.flatnonzero((flags | (low != high))[which])
-        if not len(hit):
-            return hit, hit, hit, np.zeros((0, pieces.width), np.uint8), hit
-        new = np.append(True, (w.place[hit[1:]] != w.place[hit[:-1]]) | (w.start[hit[1:]] != w.start[hit[:-1]] + 1))
-        a = np.flatnonzero(new)
-        b = np.append(a[1:], len(hit)) - 1
-        rows = pieces.cut(data, w.place[hit[a]], w.start[hit[a]], w.start[hit[b]])
-        distinct, piece = np.unique(rows.view(f"V{pieces.width}").ravel(), return_inverse=True)
+        hit = np.flatnonzero((read_flags(keys, box, buckets) | (low != high))[which])
+        rows = pieces.cut(data, w.place[hit], w.first[hit], w.last[hit])
+        distinct, piece = np.unique(rows.view(f"V{pieces.width}").ravel(), return_inverse=True) if len(hit) else (rows, hit)
         distinct = distinct.view(np.uint8).reshape(-1, pieces.width)
         doc = np.full(len(distinct), np.iinfo(np.int64).max)
-        np.minimum.at(doc, piece, ids[row[hit[a]]])
+        np.minimum.at(doc, piece, ids[np.searchsorted(offsets, w.first[hit], "right") - 1])
         value = np.zeros(len(distinct), U)
-        value[piece] = w.value[hit[a]]
+        value[piece] = w.value[hit]
         to = (mix(value ^ U(0x5851F42D4C957F2D)) % U(buckets)).astype(np.int64)
         order = np.argsort(to, kind="stable")
         rank = np.empty(len(order), np.int64)
         rank[order] = np.arange(len(order))
-        return hit[a], hit[b], rank[piece], distinct[order], (doc[order], to[order])
-
-    def second(table: pa.Table, box: dict[int, bytes]) -> pa.Table:
-        if not table.num_rows:
-            return mail(0, np.zeros(0, np.int64), [])
-        state = read(table)
-        flags = read_flags(state[-2], box, buckets)
-        _, _, _, rows, more = candidates(state, flags)
-        note, chunk = [np.packbits(flags).tobytes()], state[0]
-        if not len(rows):
-            return mail(chunk, np.array([note_to_self(chunk)]), note)
-        doc, to = more
-        entries = np.empty(len(rows), pieces.entry)
-        entries["row"], entries["doc"] = rows, doc
-        used, a, b = cut(to, buckets)
-        return mail(chunk, np.append(used, note_to_self(chunk)), [entries[i:j].tobytes() for i, j in zip(a, b, strict=True)] + note)
+        entries = np.empty(len(order), pieces.entry)
+        entries["row"], entries["doc"] = distinct[order], doc[order]
+        used, a, b = cut(to[order], buckets)
+        # What the chunk needs again when the answers come.
+        note = np.array([len(hit), len(order)], np.int64).tobytes() + doc[order].tobytes() + to[order].astype(np.int32).tobytes()
+        note += b"".join(x.astype(np.int32).tobytes() for x in (w.place[hit], w.first[hit], w.last[hit], rank[piece]))
+        return mail(chunk, np.append(used, note_to_self(chunk)), [entries[i:j].tobytes() for i, j in zip(a, b, strict=True)] + [note])
 
     schema = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept", pa.string() if digest else pa.binary())])
 
     def finish(table: pa.Table, box: dict[int, bytes]) -> pa.Table:
         if not table.num_rows:
             return schema.empty_table()
-        state = read(table)
-        chunk, data, offsets, ids, w, number, row, keys, _ = state
-        flags = np.unpackbits(np.frombuffer(box[note_to_self(chunk)], np.uint8), count=len(keys)).astype(bool)
-        a, b, piece, rows, more = candidates(state, flags)
-        cover = np.zeros(len(data) + 1, np.int64)
-        if len(rows):
-            doc, to = more
-            mask = np.zeros(len(rows), U)
-            for bucket, i, j in zip(*cut(to, buckets), strict=True):
-                mask[i:j] = np.frombuffer(box[int(bucket)], U)
-            # All windows of a piece that belongs to a later document of this chunk go too.
-            later = ids[row[a]] > doc[piece]
-            width = b - a + 1
-            at = np.repeat(a - np.append(0, np.cumsum(width)[:-1]), width) + np.arange(width.sum())
-            own = np.repeat(piece, width)
-            gone = np.repeat(later, width) | (mask[own] >> (w.place[at] - w.start[at]).astype(U) & U(1)).astype(bool)
-            np.add.at(cover, w.start[at[gone]], 1)
-            np.subtract.at(cover, w.start[at[gone]] + length, 1)
-        dead = np.cumsum(cover)[:-1] > 0
+        chunk, ids = table["chunk"][0].as_py(), ids_of(table["doc_id"])
+        data, offsets = flat_bytes(table["text"])
+        note = box[note_to_self(chunk)]
+        n, m = np.frombuffer(note, np.int64, 2)
+        doc, to = np.frombuffer(note, np.int64, m, 16), np.frombuffer(note, np.int32, m, 16 + 8 * m)
+        place, a, b, piece = np.frombuffer(note, np.int32, 4 * n, 16 + 12 * m).reshape(4, n).astype(np.int64)
+        mask = np.zeros(m, U)
+        for bucket, i, j in zip(*cut(to, buckets), strict=True):
+            mask[i:j] = np.frombuffer(box[int(bucket)], U)
+        mask = mask[piece]
+        # All windows of a piece that belongs to a later document of this chunk go too.
+        mask[ids[np.searchsorted(offsets, a, "right") - 1] > doc[piece]] = ~U(0)
+        some = np.flatnonzero(mask)
+        width = (b - a + 1)[some]
+        at = np.repeat(a[some] - np.append(0, np.cumsum(width)[:-1]), width) + np.arange(width.sum())
+        at = at[(np.repeat(mask[some], width) >> (np.repeat(place[some], width) - at).astype(U) & U(1)).astype(bool)]
+        cover = np.bincount(at, minlength=len(data) + 1) - np.bincount(at + length, minlength=len(data) + 1)
+        dead = np.cumsum(cover)[: len(data)] > 0
         total = np.append(0, np.cumsum(dead))
         begins = dead & ~np.append(False, dead[:-1])
-        begins[offsets[:-1][offsets[:-1] < len(data)]] = dead[offsets[:-1][offsets[:-1] < len(data)]]
+        heads = offsets[:-1][offsets[:-1] < len(data)]
+        begins[heads] = dead[heads]
         spans = np.append(0, np.cumsum(begins))
         removed = total[offsets[1:]] - total[offsets[:-1]]
         kept = []
