@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import packing, substring_dedup, suffix_dedup, token_counts
+from . import near_dedup, packing, substring_dedup, suffix_dedup, token_counts
 
 
 def queries() -> dict:
     return {
         "op5_substring_dedup": substring_dedup.op5_substring_dedup,
+        "op6_minhash_near_dedup": near_dedup.op6_minhash_near_dedup,
         "op7_suffix_array_dedup": suffix_dedup.op7_suffix_array_dedup,
         "op8_token_counts": token_counts.op8_token_counts,
         "op10_best_fit_packing": packing.op10_best_fit_packing,
@@ -15,4 +16,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op6_minhash_near_dedup": near_dedup.OP6_SQL}
