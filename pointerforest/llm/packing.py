@@ -34,11 +34,12 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ._spark import documents, stored
-from ._text import ids_of, ids_out
+from ._text import flat_bytes, groups_of, hash_words, ids_of, ids_out, words_of
 
 #: Entries of a worker's memo of encoded pre-tokens.
 MEMO = 500_000
-_ODD = ("\x1c", "\x1d", "\x1e", "\x1f")
+#: Bytes of text encoded together.
+GROUP_BYTES = 8 << 20
 _MARK = "\x01"
 _encoders: dict[str, tuple[object, Memo]] = {}
 
@@ -211,34 +212,41 @@ def encode_new(tokenizer, new: list[str]) -> dict[str, bytes]:
 _TAILS = frozenset(".,!?;:|")
 
 
-def encode_all(tokenizer, memo: Memo, texts: list[str]) -> list[bytes]:
-    """Ids of each text as little-endian unsigned 32-bit numbers; fills the memo.
+def encode_all(tokenizer, memo: Memo, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Ids of all texts one after another, and n + 1 offsets into them; fills the memo.
 
     White space never lies inside a token of this tokenizer, so texts are encoded by
-    the stretches between it; letters with one mark behind them are two pre-tokens,
-    which many stretches share. Texts with control characters that only str.split()
-    takes for white space are encoded whole.
+    the stretches between ASCII white space, each distinct one (told apart by a 64-bit
+    hash) once; letters with one mark behind them are two pre-tokens, which many
+    stretches share.
     """
-    parts = [None if any(c in t for c in _ODD) else t.split() for t in texts]
-    words: set[str] = set()
-    for p in parts:
-        if p:
-            words.update(p)
-    split, pieces = {}, set(_TAILS)
+    start, end, counts = words_of(data, offsets)
+    hashes, _ = hash_words(data, offsets)
+    _, first, which = np.unique(hashes, return_index=True, return_inverse=True)
+    raw = data.tobytes()
+    words = [raw[a:b].decode() for a, b in zip(start[first].tolist(), end[first].tolist(), strict=True)]
+    cores, tails, pieces = [], [], set(_TAILS)
     for w in words:
-        core = w[:-1] if w[-1] in _TAILS else w
-        if core.isalpha() and "\u03a3" not in core:
-            split[w] = core = core.lower()
-            pieces.add(core)
+        t = w[-1]
+        if t in _TAILS and (core := w[:-1]).isalpha() and "\u03a3" not in core:
+            core = core.lower()
         else:
-            pieces.add(w)
+            core, t = w, ""
+            if w.isalpha() and "\u03a3" not in w:
+                core = w.lower()
+        cores.append(core)
+        tails.append(t)
+    pieces.update(cores)
     ids = memo.fill(tokenizer, pieces)
-    tail = {t: ids[t] for t in _TAILS}
-    for w, core in split.items():
-        words_ids = ids[core]
-        ids[w] = words_ids + tail[w[-1]] if w[-1] in tail else words_ids
-    get = ids.__getitem__
-    return [np.array(tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes() if p is None else b"".join(map(get, p)) for t, p in zip(texts, parts, strict=True)]
+    ids[""] = b""
+    got = [ids[c] + ids[t] for c, t in zip(cores, tails, strict=True)]
+    size = np.fromiter(map(len, got), np.int64, len(got)) // 4
+    pool = np.frombuffer(b"".join(got), "<u4")
+    at = np.append(0, np.cumsum(size))[:-1][which] if len(which) else which
+    size = size[which]
+    total = np.append(0, np.cumsum(size))
+    flat = pool[np.repeat(at - total[:-1], size) + np.arange(total[-1])]
+    return flat, total[np.append(0, np.cumsum(counts))]
 
 
 def token_pieces(docs: DataFrame, vocabulary: str, *, capacity: int = 2048, end_id: int = 0, id_col: str = "doc_id", text_col: str = "text", keep_ids: bool = False) -> DataFrame:
@@ -253,12 +261,14 @@ def token_pieces(docs: DataFrame, vocabulary: str, *, capacity: int = 2048, end_
             _encoders[vocabulary] = (Tokenizer.from_file(vocabulary), Memo())
         tokenizer, memo = _encoders[vocabulary]
         for batch in batches:
-            for at in range(0, batch.num_rows, 2000):
-                part = batch.slice(at, 2000)
-                ids = ids_of(part.column(0))
+            data, offsets = flat_bytes(batch.column(1))
+            all_ids = ids_of(batch.column(0))
+            for first, last in groups_of(offsets, GROUP_BYTES):
+                ids = all_ids[first:last]
+                flat, places = encode_all(tokenizer, memo, data[offsets[first] : offsets[last]], offsets[first : last + 1] - offsets[first])
                 owner, piece, start, length, crc, raw = [], [], [], [], [], []
-                for i, e in enumerate(encode_all(tokenizer, memo, part.column(1).fill_null("").to_pylist())):
-                    e += end
+                for i in range(last - first):
+                    e = flat[places[i] : places[i + 1]].tobytes() + end
                     for k, s in enumerate(range(0, len(e), 4 * capacity)):
                         x = e[s : s + 4 * capacity]
                         owner.append(i), piece.append(k), start.append(s // 4), length.append(len(x) // 4), crc.append(zlib.crc32(x))
