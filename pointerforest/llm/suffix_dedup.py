@@ -178,7 +178,26 @@ class Pieces:
         self.left, self.right = length - gram, length
         self.width = self.left + self.right + 2
         self.length = length
-        self.entry = np.dtype([("row", "u1", (self.width,)), ("doc", "<i8")])
+
+    def pack(self, rows: np.ndarray, doc: np.ndarray) -> bytes:
+        """Only the bytes between the extents travel."""
+        back, ahead = rows[:, -2], rows[:, -1]
+        at = np.arange(-self.left, self.right)
+        inside = (at >= -back[:, None].astype(np.int64)) & (at < ahead[:, None])
+        low, high = (doc & 0xFFFFFFFF).astype("<u4"), (doc >> 32).astype("<i4")
+        return np.array([len(rows)], "<i8").tobytes() + b"".join(x.tobytes() for x in (low, high, back, ahead, rows[:, :-2][inside]))
+
+    def unpack(self, payload: bytes) -> tuple[np.ndarray, np.ndarray]:
+        n = int(np.frombuffer(payload, "<i8", 1)[0])
+        low, high = np.frombuffer(payload, "<u4", n, 8).astype(np.int64), np.frombuffer(payload, "<i4", n, 8 + 4 * n).astype(np.int64)
+        extents = np.frombuffer(payload, np.uint8, 2 * n, 8 + 8 * n).reshape(2, n)
+        rows = np.zeros((n, self.width), np.uint8)
+        rows[:, -2], rows[:, -1] = extents
+        at = np.arange(-self.left, self.right)
+        inside = (at >= -extents[0][:, None].astype(np.int64)) & (at < extents[1][:, None])
+        body = rows[:, :-2]
+        body[inside] = np.frombuffer(payload, np.uint8, -1, 8 + 10 * n)
+        return rows, high << 32 | low
 
     def cut(self, data: np.ndarray, place: np.ndarray, first: np.ndarray, last: np.ndarray) -> np.ndarray:
         """Rows for anchors at ``place`` whose windows start at first..last."""
@@ -194,16 +213,16 @@ class Pieces:
 
     def resolve(self, payloads: list[bytes]) -> list[bytes]:
         """For each piece, a 64-bit mask: bit k is set if its window that starts k bytes before the anchor occurs in an earlier document."""
-        parts = [np.frombuffer(p, self.entry) for p in payloads]
-        both = np.concatenate(parts)
-        rows, which = np.unique(np.ascontiguousarray(both["row"]).view(f"V{self.width}").ravel(), return_inverse=True)
+        parts = [self.unpack(p) for p in payloads]
+        own = np.concatenate([d for _, d in parts])
+        rows, which = np.unique(np.concatenate([r for r, _ in parts]).view(f"V{self.width}").ravel(), return_inverse=True)
         rows = rows.view(np.uint8).reshape(-1, self.width)
         doc = np.full(len(rows), np.iinfo(np.int64).max)
-        np.minimum.at(doc, which, both["doc"])
+        np.minimum.at(doc, which, own)
         right, right_common = suffix_order(rows[:, self.left : self.left + self.right])
         left, left_common = suffix_order(np.ascontiguousarray(rows[:, : self.left][:, ::-1]))
         back, ahead = rows[:, -2].astype(np.int64), rows[:, -1].astype(np.int64)
-        least = np.zeros((self.left + 1, len(both)), bool)
+        least = np.zeros((self.left + 1, len(own)), bool)
         for k in range(self.left + 1):
             r = np.empty(len(rows), np.int64)
             r[right] = np.cumsum(right_common < self.length - k)
@@ -219,11 +238,11 @@ class Pieces:
             first = np.minimum.reduceat(doc[who[order]], np.flatnonzero(new))
             smallest = np.full(len(rows), np.iinfo(np.int64).max)
             smallest[who[order]] = first[np.cumsum(new) - 1]
-            least[k] = smallest[which] < both["doc"]
-        mask = np.zeros(len(both), U)
+            least[k] = smallest[which] < own
+        mask = np.zeros(len(own), U)
         for k in range(self.left + 1):
             mask |= least[k].astype(U) << U(k)
-        return [x.tobytes() for x in np.split(mask, np.cumsum([len(p) for p in parts])[:-1])]
+        return [x.tobytes() for x in np.split(mask, np.cumsum([len(d) for _, d in parts])[:-1])]
 
 
 def remove_repeated_bytes(docs: DataFrame, *, length: int = 50, gram: int = 16, id_col: str = "doc_id", text_col: str = "text", digest: bool = False) -> DataFrame:
@@ -245,52 +264,55 @@ def remove_repeated_bytes(docs: DataFrame, *, length: int = 50, gram: int = 16,
         chunk, *_, keys, _ = read(table)
         return ask_prints(chunk, keys, buckets)
 
-    def second(table: pa.Table, box: dict[int, bytes]) -> pa.Table:
-        if not table.num_rows:
-            return mail(0, np.zeros(0, np.int64), [])
-        chunk, data, offsets, ids, w, keys, which = read(table)
+    def candidates(state, flags: np.ndarray):
+        """Runs that stay, the distinct piece of each, and rows, smallest id and bucket of the pieces by bucket."""
+        _, data, offsets, ids, w, keys, which = state
         # Documents by id: rows that repeat an id are one document.
-        number = np.cumsum(np.append(0, ids[1:] != ids[:-1]))[np.searchsorted(offsets, w.first, "right") - 1]
+        owner = np.searchsorted(offsets, w.first, "right") - 1
+        number = np.cumsum(np.append(0, ids[1:] != ids[:-1]))[owner]
         low, high = np.full(len(keys), np.iinfo(np.int64).max), np.full(len(keys), -1)
         np.minimum.at(low, which, number)
         np.maximum.at(high, which, number)
-        hit = np.flatnonzero((read_flags(keys, box, buckets) | (low != high))[which])
+        hit = np.flatnonzero((flags | (low != high))[which])
         rows = pieces.cut(data, w.place[hit], w.first[hit], w.last[hit])
         distinct, piece = np.unique(rows.view(f"V{pieces.width}").ravel(), return_inverse=True) if len(hit) else (rows, hit)
         distinct = distinct.view(np.uint8).reshape(-1, pieces.width)
         doc = np.full(len(distinct), np.iinfo(np.int64).max)
-        np.minimum.at(doc, piece, ids[np.searchsorted(offsets, w.first[hit], "right") - 1])
+        np.minimum.at(doc, piece, ids[owner[hit]])
         value = np.zeros(len(distinct), U)
         value[piece] = w.value[hit]
         to = (mix(value ^ U(0x5851F42D4C957F2D)) % U(buckets)).astype(np.int64)
         order = np.argsort(to, kind="stable")
         rank = np.empty(len(order), np.int64)
         rank[order] = np.arange(len(order))
-        entries = np.empty(len(order), pieces.entry)
-        entries["row"], entries["doc"] = distinct[order], doc[order]
-        used, a, b = cut(to[order], buckets)
-        # What the chunk needs again when the answers come.
-        note = np.array([len(hit), len(order)], np.int64).tobytes() + doc[order].tobytes() + to[order].astype(np.int32).tobytes()
-        note += b"".join(x.astype(np.int32).tobytes() for x in (w.place[hit], w.first[hit], w.last[hit], rank[piece]))
-        return mail(chunk, np.append(used, note_to_self(chunk)), [entries[i:j].tobytes() for i, j in zip(a, b, strict=True)] + [note])
+        return hit, rank[piece], ids[owner[hit]], distinct[order], doc[order], to[order]
+
+    def second(table: pa.Table, box: dict[int, bytes]) -> pa.Table:
+        if not table.num_rows:
+            return mail(0, np.zeros(0, np.int64), [])
+        state = read(table)
+        flags = read_flags(state[-2], box, buckets)
+        *_, rows, doc, to = candidates(state, flags)
+        used, a, b = cut(to, buckets)
+        note = [np.packbits(flags).tobytes()]
+        return mail(state[0], np.append(used, note_to_self(state[0])), [pieces.pack(rows[i:j], doc[i:j]) for i, j in zip(a, b, strict=True)] + note)
 
     schema = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept", pa.string() if digest else pa.binary())])
 
     def finish(table: pa.Table, box: dict[int, bytes]) -> pa.Table:
         if not table.num_rows:
             return schema.empty_table()
-        chunk, ids = table["chunk"][0].as_py(), ids_of(table["doc_id"])
-        data, offsets = flat_bytes(table["text"])
-        note = box[note_to_self(chunk)]
-        n, m = np.frombuffer(note, np.int64, 2)
-        doc, to = np.frombuffer(note, np.int64, m, 16), np.frombuffer(note, np.int32, m, 16 + 8 * m)
-        place, a, b, piece = np.frombuffer(note, np.int32, 4 * n, 16 + 12 * m).reshape(4, n).astype(np.int64)
-        mask = np.zeros(m, U)
+        state = read(table)
+        chunk, data, offsets, ids, w, keys, _ = state
+        flags = np.unpackbits(np.frombuffer(box[note_to_self(chunk)], np.uint8), count=len(keys)).astype(bool)
+        hit, piece, owner, _, doc, to = candidates(state, flags)
+        place, a, b = w.place[hit], w.first[hit], w.last[hit]
+        mask = np.zeros(len(doc), U)
         for bucket, i, j in zip(*cut(to, buckets), strict=True):
             mask[i:j] = np.frombuffer(box[int(bucket)], U)
         mask = mask[piece]
         # All windows of a piece that belongs to a later document of this chunk go too.
-        mask[ids[np.searchsorted(offsets, a, "right") - 1] > doc[piece]] = ~U(0)
+        mask[owner > doc[piece]] = ~U(0)
         some = np.flatnonzero(mask)
         width = (b - a + 1)[some]
         at = np.repeat(a[some] - np.append(0, np.cumsum(width)[:-1]), width) + np.arange(width.sum())
