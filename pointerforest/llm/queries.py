@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import near_dedup, packing, substring_dedup, suffix_dedup, token_counts
+from . import near_dedup, packing, substring_dedup, suffix_dedup, token_counts, toxicity
 
 
 def queries() -> dict:
@@ -11,6 +11,7 @@ def queries() -> dict:
         "op6_minhash_near_dedup": near_dedup.op6_minhash_near_dedup,
         "op7_suffix_array_dedup": suffix_dedup.op7_suffix_array_dedup,
         "op8_token_counts": token_counts.op8_token_counts,
+        "op9_toxicity": toxicity.op9_toxicity,
         "op10_best_fit_packing": packing.op10_best_fit_packing,
     }
 
