@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import near_dedup, packing, secrets, substring_dedup, suffix_dedup, token_counts, toxicity
+from . import near_dedup, packing, quality_rules, secrets, substring_dedup, suffix_dedup, token_counts, toxicity
 
 
 def queries() -> dict:
     return {
         "op1_secret_scan": secrets.op1_secret_scan,
+        "op3_quality_rules": quality_rules.op3_quality_rules,
         "op5_substring_dedup": substring_dedup.op5_substring_dedup,
         "op6_minhash_near_dedup": near_dedup.op6_minhash_near_dedup,
         "op7_suffix_array_dedup": suffix_dedup.op7_suffix_array_dedup,
