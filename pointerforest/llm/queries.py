@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import near_dedup, packing, quality_rules, secrets, substring_dedup, suffix_dedup, token_counts, toxicity
+from . import decontamination, near_dedup, packing, quality_rules, secrets, substring_dedup, suffix_dedup, token_counts, toxicity
 
 
 def queries() -> dict:
     return {
         "op1_secret_scan": secrets.op1_secret_scan,
+        "op2_benchmark_decontamination": decontamination.op2_benchmark_decontamination,
         "op3_quality_rules": quality_rules.op3_quality_rules,
         "op5_substring_dedup": substring_dedup.op5_substring_dedup,
         "op6_minhash_near_dedup": near_dedup.op6_minhash_near_dedup,
@@ -19,4 +20,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op6_minhash_near_dedup": near_dedup.OP6_SQL}
+    return {"op2_benchmark_decontamination": decontamination.OP2_SQL, "op6_minhash_near_dedup": near_dedup.OP6_SQL}
