@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontamination, near_dedup, packing, quality_rules, secrets, substring_dedup, suffix_dedup, token_counts, toxicity
+from . import decontamination, language_model, near_dedup, packing, quality_rules, secrets, substring_dedup, suffix_dedup, token_counts, toxicity
 
 
 def queries() -> dict:
@@ -10,6 +10,7 @@ def queries() -> dict:
         "op1_secret_scan": secrets.op1_secret_scan,
         "op2_benchmark_decontamination": decontamination.op2_benchmark_decontamination,
         "op3_quality_rules": quality_rules.op3_quality_rules,
+        "op4_language_model": language_model.op4_language_model,
         "op5_substring_dedup": substring_dedup.op5_substring_dedup,
         "op6_minhash_near_dedup": near_dedup.op6_minhash_near_dedup,
         "op7_suffix_array_dedup": suffix_dedup.op7_suffix_array_dedup,
