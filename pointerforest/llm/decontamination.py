@@ -26,10 +26,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import documents, stored
+from ._spark import documents, keep, stored
 
 WIDTH = 5
 RADIUS = 26
+#: Rows with windows to look at (some 100 bytes each) that are broadcast at most.
+BROADCAST_ROWS = 300_000
 
 
 def words_of(text: Column) -> Column:
@@ -85,9 +87,12 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, *, percent: int = 75, ra
     here = lambda s: F.greatest(F.least(size, n - WIDTH + 1 - s), F.lit(1))
     good = F.filter(starts, lambda s: found(s) * (100 + percent) >= (here(s) + size) * percent)
     windows = stored(hits.select("doc_id", "row", "m", F.explode(good).alias("start")).distinct())
-    asked = windows.groupBy("doc_id", "row").agg(F.collect_set(F.struct("m", "start")).alias("asked"))
-    cut = rows.alias("r").join(asked.alias("q"), (F.col("r.row") == F.col("q.row")) & F.col("r.doc_id").eqNullSafe(F.col("q.doc_id")))
-    cut = cut.select(F.col("r.doc_id").alias("doc_id"), "r.w", F.explode("q.asked").alias("a")).dropDuplicates(["doc_id", "w", "a"])
+    asked, seen = keep(windows.groupBy(F.col("doc_id").alias("d"), F.col("row").alias("r")).agg(F.collect_set(F.struct("m", "start")).alias("asked")), n=F.count(F.lit(1)))
+    # The rows asked for are few next to the documents; up to a fixed number they travel to the texts, beyond it both meet by hash.
+    asked = F.broadcast(asked) if seen["n"] <= BROADCAST_ROWS else asked
+    own = source.withColumn("row", F.xxhash64("text"))
+    cut = own.join(asked, (F.col("row") == F.col("r")) & F.col("doc_id").eqNullSafe(F.col("d"))).dropDuplicates(["doc_id", "row"])
+    cut = cut.select("doc_id", words_of(F.col("text")).alias("w"), F.explode("asked").alias("a"))
     cut = cut.select("doc_id", F.col("a.m").alias("m"), F.col("a.start").alias("start"), shingle_hashes(F.slice("w", F.col("a.start") + 1, F.col("a.m"))).alias("wh"))
     printed = stored(cut.withColumn("print", simhash(F.col("wh"))).withColumn("id", F.monotonically_increasing_id()))
     index = items.select("item_id", "m", F.col("print").alias("ip"), F.inline(blocks_of(F.col("print"), radius)))
