@@ -30,20 +30,59 @@ MAIL_DDL = "to int, sender int, payload binary"
 class Chunked:
     """Documents by chunk, and rounds of mail between chunks and buckets."""
 
-    def __init__(self, docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", chunk_bytes: int = CHUNK_BYTES, extra: list | None = None):
+    def __init__(self, docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", chunk_bytes: int = CHUNK_BYTES, extra: list | None = None, squeeze: bool = False):
+        """``squeeze``: texts travel compressed one by one, which takes time and saves disk."""
         self.count = self.buckets = max(LEAST, -(-text_bytes(docs, text_col) // chunk_bytes))
         key = F.pmod(F.xxhash64(F.col(id_col)), F.lit(self.count)).cast("int")
         rows = docs.select(key.alias("chunk"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), *(extra or []))
         self.parts = max(16, self.count // 3)
+        self.squeezed = squeeze
+        if squeeze:
+            rows = squeezed(rows)
         self.rows = rows.repartition(self.parts, "chunk")
 
     def ask(self, emit: Callable[[pa.Table], pa.Table]) -> DataFrame:
         """First questions, from the documents alone."""
-        return self.rows.groupBy("chunk").applyInArrow(lambda t: emit(in_order(t)), MAIL_DDL)
+        return self.rows.groupBy("chunk").applyInArrow(_one(emit, self.squeezed), MAIL_DDL)
 
     def then(self, answers: DataFrame, step: Callable[[pa.Table, dict], pa.Table], ddl: str = MAIL_DDL) -> DataFrame:
         """Documents of a chunk together with the answers it got."""
-        return self.rows.groupBy("chunk").cogroup(answers.groupBy("to")).applyInArrow(lambda t, m: step(in_order(t), mailbox(m)), ddl)
+        return self.rows.groupBy("chunk").cogroup(answers.groupBy("to")).applyInArrow(_both(step, self.squeezed), ddl)
+
+
+def _one(emit, squeeze: bool):
+    return lambda t: emit(in_order(unsqueezed(t) if squeeze else t))
+
+
+def _both(step, squeeze: bool):
+    return lambda t, m: step(in_order(unsqueezed(t) if squeeze else t), mailbox(m))
+
+
+def squeezed(rows: DataFrame) -> DataFrame:
+    """Column ``text`` as zstd frames; null stays null."""
+
+    def run(batches):
+        import zstandard
+
+        pack = zstandard.ZstdCompressor(level=3, write_content_size=True, write_checksum=False, write_dict_id=False)
+        for batch in batches:
+            at = batch.schema.get_field_index("text")
+            for a in range(0, batch.num_rows, 2000):
+                part = batch.slice(a, 2000)
+                texts = pa.array([None if t is None else pack.compress(t) for t in part.column(at).cast(pa.binary()).to_pylist()], pa.binary())
+                yield pa.RecordBatch.from_arrays([texts if k == at else part.column(k) for k in range(part.num_columns)], names=part.schema.names)
+
+    kinds = ", ".join(f"{f.name} {'binary' if f.name == 'text' else f.dataType.simpleString()}" for f in rows.schema)
+    return rows.mapInArrow(run, kinds)
+
+
+def unsqueezed(table: pa.Table) -> pa.Table:
+    import zstandard
+
+    unpack = zstandard.ZstdDecompressor()
+    at = table.schema.get_field_index("text")
+    texts = pa.array([None if t is None else unpack.decompress(t) for t in table["text"].to_pylist()], pa.binary())
+    return table.set_column(at, "text", texts)
 
 
 def in_order(table: pa.Table) -> pa.Table:
