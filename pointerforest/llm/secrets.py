@@ -30,8 +30,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
-from ._spark import documents
+from ._spark import documents, with_columns
 from ._text import flat_bytes, groups_of, ids_of, ids_out
 
 # The base patterns and the least length of what they must match.
@@ -328,27 +329,42 @@ def field_spans(field: Field, data: np.ndarray, offsets: np.ndarray) -> dict[int
     return out
 
 
-def find_secrets(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", field: Field | None = None, carry: tuple[str, ...] = ()) -> DataFrame:
+def spans_of(field: Field, texts: pa.Array) -> list[list[tuple[int, int, str]]]:
+    """(start, end, kind) by start for each text: base patterns, and what the field adds where they have none."""
+    data, offsets = flat_bytes(texts)
+    out = []
+    for i, j in groups_of(offsets, 1 << 19):
+        more = field_spans(field, data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i])
+        for k, text in enumerate(texts.slice(i, j - i).to_pylist()):
+            own = base_spans(text) if text else []
+            extra = [(a, b, "crf") for a, b in more.get(k, ()) if not any(a < y and x < b for x, y, _ in own)]
+            out.append(sorted(own + extra, key=lambda s: (s[0], (*KINDS, "crf").index(s[2]))))
+    return out
+
+
+def find_secrets(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", field: Field | None = None) -> DataFrame:
     """doc_id, spans: array of (start, end, kind) by start; base patterns and added ones."""
     field = field or trained_field()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("kind", pa.string())]))
         for batch in batches:
-            data, offsets = flat_bytes(batch.column(1))
-            spans = []
-            for i, j in groups_of(offsets, 1 << 20):
-                part = data[offsets[i] : offsets[j]]
-                more = field_spans(field, part, offsets[i : j + 1] - offsets[i])
-                for k, text in enumerate(batch.column(1).slice(i, j - i).to_pylist()):
-                    own = base_spans(text) if text else []
-                    extra = [(a, b, "crf") for a, b in more.get(k, ()) if not any(a < y and x < b for x, y, _ in own)]
-                    spans.append([{"start": a, "end": b, "kind": c} for a, b, c in sorted(own + extra, key=lambda s: (s[0], (*KINDS, "crf").index(s[2])))])
-            yield pa.RecordBatch.from_arrays([ids_out(ids_of(batch.column(0))), pa.array(spans, kind), *batch.columns[2:]], names=["doc_id", "spans", *carry])
-
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), *[F.col(c) for c in carry])
-    more = "".join(f", `{c}` {docs.schema[c].dataType.simpleString()}" for c in carry)
-    return rows.mapInArrow(run, "doc_id long, spans array<struct<start:long,end:long,kind:string>>" + more)
+            spans = [[{"start": a, "end": b, "kind": c} for a, b, c in s] for s in spans_of(field, batch.column(1))]
+            yield pa.RecordBatch.from_arrays([ids_out(ids_of(batch.column(0))), pa.array(spans, kind)], names=["doc_id", "spans"])
+
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    return rows.mapInArrow(run, "doc_id long, spans array<struct<start:long,end:long,kind:string>>")
+
+
+def mask_secrets(docs: DataFrame, *, text_col: str = "text", field: Field | None = None) -> DataFrame:
+    """The documents, with all their columns, and every secret in the text masked."""
+    field = field or trained_field()
+
+    def mask(texts: pa.Array) -> list[pa.Array]:
+        found = spans_of(field, texts)
+        return [pa.array([redact(t, [s[:2] for s in spans]) if spans else t for t, spans in zip(texts.to_pylist(), found, strict=True)], pa.string())]
+
+    return with_columns(docs, text_col, mask, StructType(), replace=True)
 
 
 def redact(text: str, spans: list[tuple[int, int]]) -> str:

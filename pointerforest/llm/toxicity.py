@@ -26,8 +26,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructField, StructType
 
-from ._spark import documents
+from ._spark import documents, with_columns
 from ._text import IS_SPACE, U, flat_bytes, groups_of, hash_words, ids_of, ids_out, lower_ascii, words_of
 
 MAX_ROWS = 20_000
@@ -297,19 +298,28 @@ def train(docs: DataFrame, labels: DataFrame, *, max_rows: int = MAX_ROWS, id_co
 HELD_OUT = "coalesce(crc32(cast({} AS string)) % 5 = 0, true)"
 
 
-def score_documents(docs: DataFrame, model: Model, *, id_col: str = "doc_id", text_col: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:
-    """doc_id, held_out, score, predicted (and the columns to carry)."""
+def score_texts(model: Model, texts: pa.Array) -> np.ndarray:
+    data, offsets = flat_bytes(texts)
+    parts = [model.score(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]) for i, j in groups_of(offsets, 1 << 19)]
+    return np.concatenate(parts) if parts else np.zeros(0)
+
+
+def score_documents(docs: DataFrame, model: Model, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, held_out, score, predicted."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            data, offsets = flat_bytes(batch.column(1))
-            score = [model.score(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]) for i, j in groups_of(offsets, 2 << 20)]
-            score = np.concatenate(score) if score else np.zeros(0)
-            yield pa.RecordBatch.from_arrays([ids_out(ids_of(batch.column(0))), batch.column(2), pa.array(score), pa.array((score >= 0.5).astype(np.int32)), *batch.columns[3:]], names=["doc_id", "held_out", "score", "predicted", *carry])
-
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.expr(HELD_OUT.format(f"`{id_col}`")).alias("held_out"), *[F.col(c) for c in carry])
-    more = "".join(f", `{c}` {docs.schema[c].dataType.simpleString()}" for c in carry)
-    return rows.mapInArrow(run, f"doc_id long, held_out boolean, score double, predicted int{more}")
+            score = score_texts(model, batch.column(1))
+            yield pa.RecordBatch.from_arrays([ids_out(ids_of(batch.column(0))), batch.column(2), pa.array(score), pa.array((score >= 0.5).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
+
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.expr(HELD_OUT.format(f"`{id_col}`")).alias("held_out"))
+    return rows.mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
+
+
+def reject_toxic(docs: DataFrame, model: Model, *, text_col: str = "text", threshold: float = 0.5) -> DataFrame:
+    """Documents below the threshold, with all their columns."""
+    new = StructType([StructField("_toxicity_score", DoubleType())])
+    return with_columns(docs, text_col, lambda texts: [pa.array(score_texts(model, texts))], new).where(F.col("_toxicity_score") < threshold).select(*docs.columns)
 
 
 def op9_toxicity(spark, sf_dir: str) -> DataFrame:
