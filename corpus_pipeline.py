@@ -10,9 +10,7 @@ columns of ``documents``.
 from __future__ import annotations
 
 import uuid
-from collections.abc import Iterator
 
-import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -21,14 +19,8 @@ from pointerforest.llm import decontamination, near_dedup, packing, secrets, tox
 from pointerforest.plans.store import shared_folder
 
 
-def _with_row(docs: DataFrame) -> DataFrame:
-    """All columns once more as one struct, to come back whole whatever their names."""
-    return docs.select("doc_id", "text", F.struct(*docs.columns).alias("_row"))
-
-
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    model = toxicity.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return toxicity.score_documents(_with_row(docs), model, carry=("_row",)).where("predicted = 0").select("_row.*")
+    return toxicity.reject_toxic(docs, toxicity.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -45,17 +37,9 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    found = secrets.find_secrets(_with_row(docs), carry=("_row",))
-
-    def mask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            texts = [secrets.redact(t, [(s["start"], s["end"]) for s in spans]) if spans else t for t, spans in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([pa.array(texts, pa.string()), batch.column(2)], names=["text", "_row"])
-
-    kind = found.schema["_row"].dataType
-    masked = found.select(F.col("_row.text").alias("text"), "spans", "_row").mapInArrow(mask, f"text string, _row {kind.simpleString()}")
-    new = {"text": F.col("text"), "n_chars": F.char_length("text").cast("long")}
-    return masked.select(*[new[c].alias(c) if c in new else F.col("_row")[c].alias(c) for c in docs.columns])
+    """Nothing goes; secrets are masked and n_chars follows the text."""
+    masked = secrets.mask_secrets(docs)
+    return masked.withColumn("n_chars", F.char_length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else masked
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
