@@ -61,7 +61,10 @@ def _tree_scheme(edges, vertices, *, only_stars: bool, middle_shortcut: bool, la
         touched = to.select(F.explode(F.array("id", "value")).alias("id")).distinct()
         hooked = _set(marked.select("id", "f", "f_prev"), to)
         if middle_shortcut:
-            hooked = gather(hooked.withColumnRenamed("f", "h"), "h", "f", value="h").select("id", "f", "f_prev")
+            hooked, _ = keep(gather(hooked.withColumnRenamed("f", "h"), "h", "f", value="h"))
+            # A tree that the shortcut has just flattened is not stagnant: its neighbour may hook this round too.
+            touched = touched.union(hooked.where("f <> h").select("f")).distinct()
+            hooked = hooked.select("id", "f", "f_prev")
         hooked, _ = keep(mark_stars(gather(hooked, "f", "gf")))
         # What the unconditional step sees also tells which stars have no edge to anywhere else.
         free, _ = keep(hook_unconditional(edges, hooked, touched))

@@ -102,14 +102,14 @@ def incremental(spark, d):
     return joined.select("id", F.coalesce("c", "component").alias("component"))
 
 
-_GROUP_ROWS = "SELECT DISTINCT c_nationkey AS grp, o_custkey * 2 AS src, l_partkey * 2 + 1 AS dst FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN customer ON c_custkey = o_custkey WHERE l_quantity >= 49"
+_GROUP_ROWS = "SELECT DISTINCT CAST(c_nationkey AS BIGINT) AS grp, o_custkey * 2 AS src, l_partkey * 2 + 1 AS dst FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN customer ON c_custkey = o_custkey WHERE l_quantity >= 49"
 
 
-@add("cc_by_group", f"WITH RECURSIVE r AS MATERIALIZED ({_GROUP_ROWS}), {O.base('SELECT grp * 1000000000 + src AS src, grp * 1000000000 + dst AS dst FROM r', 'SELECT 0 AS id WHERE false')}, {O._CC} SELECT CAST(id // 1000000000 AS BIGINT) AS grp, id % 1000000000 AS id, comp % 1000000000 AS component FROM cc")
+@add("cc_by_group", f"WITH RECURSIVE r AS MATERIALIZED ({_GROUP_ROWS}), {O.base('SELECT grp * 1000000000 + src AS src, grp * 1000000000 + dst AS dst FROM r', 'SELECT CAST(0 AS BIGINT) AS id WHERE false')}, {O._CC} SELECT CAST(id // 1000000000 AS BIGINT) AS grp, id % 1000000000 AS id, comp % 1000000000 AS component FROM cc")
 def by_group(spark, d):
     lines = read(spark, d, "lineitem").where("l_quantity >= 49").select("l_orderkey", "l_partkey")
     orders = read(spark, d, "orders").select("o_orderkey", "o_custkey").join(read(spark, d, "customer").select("c_custkey", "c_nationkey"), F.col("c_custkey") == F.col("o_custkey"))
-    rows = orders.join(lines, F.col("o_orderkey") == F.col("l_orderkey")).selectExpr("c_nationkey AS grp", "o_custkey * 2 AS src", "l_partkey * 2 + 1 AS dst")
+    rows = orders.join(lines, F.col("o_orderkey") == F.col("l_orderkey")).selectExpr("CAST(c_nationkey AS BIGINT) AS grp", "o_custkey * 2 AS src", "l_partkey * 2 + 1 AS dst")
     return A.components_by_group(rows, "grp", 1_000_000_000)
 
 
