@@ -9,22 +9,23 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def cosine_pd(a: pd.Series, b: pd.Series) -> pd.Series:
     """Cosine of two vector columns."""
     x, y = np.stack(a.to_numpy()).astype(float), np.stack(b.to_numpy()).astype(float)
     return pd.Series((x * y).sum(axis=1) / np.sqrt((x * x).sum(axis=1) * (y * y).sum(axis=1)))
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def min_label_pd(label: pd.Series) -> int:
     """Grouped minimum."""
     return int(label.min())
 
 
-@F.udtf(returnType="line string, length int")
+@F.udtf(returnType=T.StructType([T.StructField("line", T.StringType()), T.StructField("length", T.IntegerType())]))
 class LineEdges:
     """The trimmed lines of a text that are long enough."""
 

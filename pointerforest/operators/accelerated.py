@@ -74,8 +74,10 @@ class Options:
 
 def prepare(edges: DataFrame, vertices: DataFrame | None) -> tuple[DataFrame, DataFrame, int]:
     """Symmetric edges by ``dst`` and start vertices by ``id``, both materialised once."""
+    # Ends of rows that are no edges (loops, one end missing) are vertices all the same.
+    loose = vertices_of(edges.where("src IS NULL OR dst IS NULL OR src = dst"))
     edges = partitioned(symmetrize(edges), "dst")
-    ids = vertices_of(edges)
+    ids = edges.select(F.col("src").alias("id")).union(loose).distinct()
     if vertices is not None:
         ids = ids.union(vertices.select(F.col("id").cast("long")).where("id IS NOT NULL")).distinct()
     ids, seen = keep(ids, n=F.count(F.lit(1)))
@@ -168,8 +170,8 @@ def one_round(edges: DataFrame, state: DataFrame, o: Options, *, first: bool, ch
 def connected_components(edges: DataFrame, vertices: DataFrame | None = None, *, init: DataFrame | None = None, method: str = "accelerated", on_round=None, **options) -> Run:
     """Labels: the smallest id of each component.
 
-    ``vertices`` keeps isolated ones; null ends, loops and repeated edges are dropped;
-    an end that is missing from ``vertices`` is added. ``init``: labels of an earlier run
+    ``vertices`` adds isolated ones; null ends, loops and repeated edges are dropped, but
+    every id among the edges is a vertex. ``init``: labels of an earlier run
     on fewer edges. ``on_round(state, k)`` sees each materialised round.
     """
     if method != "accelerated":
