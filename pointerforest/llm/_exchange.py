@@ -15,6 +15,7 @@ from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -88,7 +89,7 @@ def unsqueezed(table: pa.Table) -> pa.Table:
 def in_order(table: pa.Table) -> pa.Table:
     """Documents by id (nulls first), rows that repeat an id by text."""
     table = table.combine_chunks()
-    return table.sort_by([("doc_id", "ascending"), ("text", "ascending")]) if table.num_rows > 1 and table["doc_id"].null_count == 0 else table.take(pa.compute.sort_indices(table.select(["doc_id", "text"]), sort_keys=[("doc_id", "ascending"), ("text", "ascending")], null_placement="at_start")) if table.num_rows else table
+    return table.sort_by([("doc_id", "ascending"), ("text", "ascending")]) if table.num_rows > 1 and table["doc_id"].null_count == 0 else table.take(pc.sort_indices(table.select(["doc_id", "text"]), sort_keys=[("doc_id", "ascending"), ("text", "ascending")], null_placement="at_start")) if table.num_rows else table
 
 
 def mailbox(table: pa.Table) -> dict[int, bytes]:

@@ -19,6 +19,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -87,7 +88,7 @@ def count_tokens(docs: DataFrame, vocabulary: str, *, id_col: str = "doc_id", te
                 part = batch.slice(at, 2000)
                 texts = part.column(1).fill_null("").to_pylist()
                 n = count_batch(table, memo, texts)
-                size = pa.compute.binary_length(part.column(1)).fill_null(0).cast(pa.int64())
+                size = pc.binary_length(part.column(1)).fill_null(0).cast(pa.int64())
                 yield pa.RecordBatch.from_arrays([ids_out(ids_of(part.column(0))), size, pa.array(n, pa.int64()), pa.array(n > limit)], names=["doc_id", "n_bytes", "n_tokens", "over_limit"])
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
