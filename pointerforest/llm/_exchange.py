@@ -20,6 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ._spark import text_bytes
+from ._text import release
 
 CHUNK_BYTES = 4 << 20
 #: Few chunks or buckets would leave cores idle.
@@ -52,11 +53,21 @@ class Chunked:
 
 
 def _one(emit, squeeze: bool):
-    return lambda t: emit(in_order(unsqueezed(t) if squeeze else t))
+    def run(t):
+        out = emit(in_order(unsqueezed(t) if squeeze else t))
+        release()
+        return out
+
+    return run
 
 
 def _both(step, squeeze: bool):
-    return lambda t, m: step(in_order(unsqueezed(t) if squeeze else t), mailbox(m))
+    def run(t, m):
+        out = step(in_order(unsqueezed(t) if squeeze else t), mailbox(m))
+        release()
+        return out
+
+    return run
 
 
 def squeezed(rows: DataFrame) -> DataFrame:

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
 from ..plans.store import forget, keep, shared_folder, stored  # noqa: F401
+from ._text import release
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -33,6 +34,7 @@ def with_columns(docs: DataFrame, text_col: str, compute, new: StructType, *, re
                 made = compute(part.column(at))
                 columns = [made[0] if k == at else c for k, c in enumerate(part.columns)] if replace else [*part.columns, *made]
                 yield pa.RecordBatch.from_arrays(columns, names=names)
+            release()
 
     return docs.mapInArrow(run, schema)
 

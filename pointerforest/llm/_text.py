@@ -6,6 +6,8 @@ found on UTF-8 bytes without decoding.
 
 from __future__ import annotations
 
+import ctypes
+
 import numpy as np
 import pyarrow as pa
 
@@ -17,6 +19,19 @@ ID_NULL = np.iinfo(np.int64).min  # a null id sorts before all others
 _MASK = (1 << 64) - 1
 
 
+try:
+    _trim = ctypes.CDLL(None).malloc_trim
+except (OSError, AttributeError):  # another C library
+    _trim = None
+
+
+def release() -> None:
+    """Give freed memory back: workers outlive their task, and idle ones would keep it."""
+    pa.default_memory_pool().release_unused()
+    if _trim:
+        _trim(0)
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     """Finalizer of a 64-bit hash (a bijection)."""
     x = x ^ (x >> U(33))

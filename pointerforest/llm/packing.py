@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ._spark import documents, stored
-from ._text import flat_bytes, groups_of, hash_words, ids_of, ids_out, words_of
+from ._text import flat_bytes, groups_of, hash_words, ids_of, ids_out, release, words_of
 
 #: Entries of a worker's memo of encoded pre-tokens.
 MEMO = 500_000
@@ -280,6 +280,7 @@ def token_pieces(docs: DataFrame, vocabulary: str, *, capacity: int = 2048, end_
                     out.append(pa.array(raw, pa.list_(pa.int64())))
                     names.append("ids")
                 yield pa.RecordBatch.from_arrays(out, names=names)
+            release()
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     return rows.mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long" + ", ids array<long>" * keep_ids)

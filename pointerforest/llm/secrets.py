@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
 from ._spark import documents, with_columns
-from ._text import flat_bytes, groups_of, ids_of, ids_out
+from ._text import flat_bytes, groups_of, ids_of, ids_out, release
 
 # The base patterns and the least length of what they must match.
 KINDS = ("assign", "access", "hex")
@@ -351,6 +351,7 @@ def find_secrets(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
         for batch in batches:
             spans = [[{"start": a, "end": b, "kind": c} for a, b, c in s] for s in spans_of(field, batch.column(1))]
             yield pa.RecordBatch.from_arrays([ids_out(ids_of(batch.column(0))), pa.array(spans, kind)], names=["doc_id", "spans"])
+            release()
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     return rows.mapInArrow(run, "doc_id long, spans array<struct<start:long,end:long,kind:string>>")

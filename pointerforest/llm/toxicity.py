@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
 from ._spark import documents, with_columns
-from ._text import IS_SPACE, U, flat_bytes, groups_of, hash_words, ids_of, ids_out, lower_ascii, words_of
+from ._text import IS_SPACE, U, flat_bytes, groups_of, hash_words, ids_of, ids_out, lower_ascii, release, words_of
 
 MAX_ROWS = 20_000
 LEXICON = 400
@@ -311,6 +311,7 @@ def score_documents(docs: DataFrame, model: Model, *, id_col: str = "doc_id", te
         for batch in batches:
             score = score_texts(model, batch.column(1))
             yield pa.RecordBatch.from_arrays([ids_out(ids_of(batch.column(0))), batch.column(2), pa.array(score), pa.array((score >= 0.5).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
+            release()
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.expr(HELD_OUT.format(f"`{id_col}`")).alias("held_out"))
     return rows.mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
