@@ -11,6 +11,7 @@ import duckdb
 import numpy as np
 import pyarrow as pa
 import pytest
+import zstandard
 from pyspark.sql import functions as F
 
 from pointerforest.llm import decontamination, language_model, near_dedup, packing, quality_rules, secrets, substring_dedup, suffix_dedup, token_counts, toxicity
@@ -287,7 +288,7 @@ def test_restaurant_probabilities_sum_to_one():
     """Own shares and the parent's weight of a context add up to one."""
     prior = language_model.Prior()
     pairs = [np.array([1, 5], np.int64).tobytes() + b"".join(np.array(x, np.uint32).tobytes() for x in ([9], [5], [1, 2, 3, 4, 5], [7, 3, 1, 2, 0]))]
-    raw = language_model.seat_contexts(pairs, prior)[0]
+    raw = zstandard.ZstdDecompressor().decompress(language_model.seat_contexts(pairs, prior)[0])
     g, once = language_model.full(raw, 1, 0)[0], language_model.full(raw, 1, 2)[0]
     special = np.unpackbits(np.frombuffer(raw, np.uint8, 1, 4), count=5).astype(bool)
     a = np.where(np.array([7, 3, 1, 2, 0]) > 0, once, 0.0)
