@@ -6,6 +6,10 @@ distinct and without loops once ``symmetrize`` has seen them.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -59,25 +63,52 @@ def shared_value(df: DataFrame, key: str, value: Column | str) -> DataFrame:
     return drop_bad(rows.join(least, "value").select("src", "dst")).distinct()
 
 
-def similar_vectors(df: DataFrame, key: str, vector: str, least_cosine: float, bands: int | None = None) -> DataFrame:
-    """Pairs of vectors with a cosine of at least ``least_cosine``.
+def similar_vectors(df: DataFrame, key: str, vector: str, least_cosine: float, block: int | None = None) -> DataFrame:
+    """Pairs of vectors with a cosine of at least ``least_cosine``; no pair is left out.
 
-    Without ``bands`` every pair is compared (a bounded table only). With it, pairs
-    share a sign pattern of 8 coordinates in one of ``bands`` disjoint groups.
+    Without ``block`` every pair is a row of a join (a bounded table only). With it,
+    vectors are dealt to blocks of about that many by the hash of their key, and a task
+    compares two blocks by matrix products, so that only the pairs found become rows.
     """
+    if block:
+        return _similar_by_blocks(df.select(F.col(key).cast("long").alias("id"), F.col(vector).cast("array<float>").alias("v")), least_cosine, block)
     unit = df.select(F.col(key).cast("long").alias("id"), F.transform(vector, lambda x: x.cast("double")).alias("v"))
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
     a, b = unit.select(F.col("id").alias("src"), F.col("v").alias("a")), unit.select(F.col("id").alias("dst"), F.col("v").alias("b"))
-    if bands:
-        sign = lambda v: F.posexplode(F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda k: F.transform(F.slice(v, k * 8 + 1, F.lit(8)), lambda x: x > 0)))
-        a, b = a.select("*", sign(F.col("a")).alias("band", "key")), b.select("*", sign(F.col("b")).alias("band", "key"))
-        both = a.join(b, ["band", "key"]).where("src < dst").select("src", "dst", "a", "b").dropDuplicates(["src", "dst"])
-    else:
-        both = a.join(b, F.col("src") < F.col("dst"))
+    both = a.join(b, F.col("src") < F.col("dst"))
     cosine = dot(F.col("a"), F.col("b")) / F.sqrt(dot(F.col("a"), F.col("a")) * dot(F.col("b"), F.col("b")))
     return both.where(F.round(cosine, 6) >= least_cosine).select("src", "dst")
 
 
+def _similar_by_blocks(rows: DataFrame, least_cosine: float, block: int) -> DataFrame:
+    rows = rows.where("id IS NOT NULL AND v IS NOT NULL")
+    blocks = max(4, -(-rows.count() // block))  # some tasks for small tables too
+    mine, other = F.pmod(F.xxhash64("id"), F.lit(blocks)), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long")))
+    dealt = rows.select("id", "v", mine.alias("mine"), other.alias("other")).withColumn("i", F.least("mine", "other")).withColumn("j", F.greatest("mine", "other"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = pa.Table.from_batches(list(batches))
+        ids, side = table["id"].to_numpy(), table["mine"].to_numpy()
+        v = table["v"].combine_chunks().flatten().to_numpy().astype(np.float64).reshape(len(ids), -1)
+        norm = np.sqrt((v * v).sum(axis=1))
+        some = norm > 0
+        ids, side, v = ids[some], side[some], v[some] / norm[some, None]
+        if not len(ids):
+            return
+        first = side == side.min()
+        a, b = np.flatnonzero(first), np.flatnonzero(~first)
+        b = b if table["i"][0] != table["j"][0] else a
+        for at in range(0, len(a), 512):
+            part = a[at : at + 512]
+            x, y = np.nonzero((np.round(v[part] @ v[b].T, 6) >= least_cosine) & (True if b is not a else ids[part][:, None] < ids[b][None, :]))
+            p, q = ids[part[x]], ids[b[y]]
+            for k in range(0, len(p), 1 << 20):
+                u, w = p[k : k + (1 << 20)], q[k : k + (1 << 20)]
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(u, w)), pa.array(np.maximum(u, w))], names=["src", "dst"])
+
+    return dealt.select("i", "j", "mine", "id", "v").groupBy("i", "j").applyInArrow(run, "src long, dst long")
+
+
 def near_in_time(df: DataFrame, key: str, ts: str, seconds: int, group: list[str]) -> DataFrame:
     """Pairs of one group at most ``seconds`` apart: equi-join on time buckets, then the exact test."""
     t = F.unix_timestamp(F.col(ts).cast("timestamp"))

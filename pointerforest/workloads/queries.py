@@ -528,10 +528,10 @@ add("edges_asof", "SELECT a.event_id AS src, b.event_id AS dst FROM (SELECT * FR
 add("index_vertices_dense", "SELECT url AS key, CAST(row_number() OVER (ORDER BY url) - 1 AS BIGINT) AS id FROM (SELECT DISTINCT url FROM pages)")(lambda s, d: E.index_vertices(read(s, d, "pages"), "url"))
 
 
-@add("edges_cosine_banded")
+@add("edges_cosine_banded", SQL["edges_cosine"])
 def cosine_banded(spark, d):
-    """The scalable form: only vectors that share a sign pattern are compared (some pairs are missed)."""
-    return E.similar_vectors(read(spark, d, "embeddings"), "vec_id", "embedding", 0.4, bands=8)
+    """The form for larger tables: bands of vectors are compared whole, band against band."""
+    return E.similar_vectors(read(spark, d, "embeddings"), "vec_id", "embedding", 0.4, block=16384)
 
 
 # Deduplication and contamination through components.

@@ -2,6 +2,7 @@
 
 import random
 
+import numpy as np
 import pytest
 
 from pointerforest.operators import accelerated as A
@@ -145,3 +146,16 @@ def test_checks_find_faults(spark):
 def test_index_and_relabel(spark):
     got = {r["key"]: r["id"] for r in E.index_vertices(spark.createDataFrame([("b",), ("a",), ("c",), ("a",), (None,)], "k string"), "k").collect()}
     assert got == {"a": 0, "b": 1, "c": 2}
+
+
+def test_blocks_of_vectors_miss_no_similar_pair(spark):
+    rng = np.random.default_rng(4)
+    v = rng.standard_normal((300, 16)).astype("float32")
+    v[7] = 0
+    v[20:40] = v[19]
+    df = spark.createDataFrame([(i * 3, x.tolist()) for i, x in enumerate(v)] + [(1, None)], "id long, v array<float>")
+    u = v.astype(float) / np.maximum(np.linalg.norm(v.astype(float), axis=1, keepdims=True), 1e-30)
+    x, y = np.nonzero(np.triu(np.round(u @ u.T, 6) >= 0.4, 1))
+    for block in (50, 1000):
+        got = [tuple(r) for r in E.similar_vectors(df, "id", "v", 0.4, block=block).collect()]
+        assert sorted(got) == [(a * 3, b * 3) for a, b in zip(x.tolist(), y.tolist(), strict=True)]
