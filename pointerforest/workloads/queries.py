@@ -468,6 +468,14 @@ def same_component_pairs(spark, d):
     return some.select(F.col("id").alias("a"), "component").join(some.select(F.col("id").alias("b"), "component"), "component").where("a < b").select("a", "b")
 
 
+@_report("same_component_members", "SELECT id, comp AS representative, CAST(count(*) OVER (PARTITION BY comp) - 1 AS BIGINT) AS partners FROM cc")
+def same_component_members(spark, d):
+    """All pairs of all vertices in linear size: two of them pair up if their representative is the same."""
+    labels, _ = keep(run(spark, d, _G3).labels)
+    sizes = R.component_sizes(labels).select("component", (F.col("n") - 1).alias("partners"))
+    return labels.join(sizes, "component").select("id", F.col("component").alias("representative"), "partners")
+
+
 @_report("semi_in_giant", "SELECT id FROM cc WHERE comp = (SELECT comp FROM cc GROUP BY comp ORDER BY count(*) DESC, comp LIMIT 1)")
 def semi_in_giant(spark, d):
     labels = run(spark, d, _G3).labels
