@@ -6,8 +6,9 @@ many documents there are), so planning runs on the driver over bounded data:
 1. *Dominance reduction* (after Martello and Toth): sets that provably dominate
    every alternative are fixed for good, largest piece first: a piece with which
    nothing fits; a pair that fills a sequence exactly; a piece with its largest
-   fitting partner where no two pieces fit beside it; and a piece with its best
-   triple-free partner. Each fixed set shrinks the instance and the rest is
+   fitting partner where no two pieces fit beside it; and a piece with its largest
+   fitting partner where two others fit beside it but never three, and no two that
+   fit are longer together than that partner. Each fixed set shrinks the instance and the rest is
    examined again.
 2. *Best fit, longest first*, over the counts of what is left: pieces of one
    length go, many at a time, to the open sequences with the least sufficient room.
@@ -67,6 +68,35 @@ class Counts:
         a = self.keys[0]
         return 2 * a if self.n[a] > 1 else a + self.keys[1] if len(self.keys) > 1 else 1 << 60
 
+    def least_others(self, k: int, size: int) -> int:
+        """Sum of the ``k`` smallest pieces beside one of ``size``; beyond any room if there are fewer."""
+        total = 0
+        for x in self.keys:
+            some = min(k, self.n[x] - (x == size))
+            total, k = total + some * x, k - some
+            if not k:
+                return total
+        return 1 << 60
+
+    def best_pair(self, room: int, size: int) -> int:
+        """Largest sum of at most ``room`` of two pieces beside one of ``size``; 0 if no two fit."""
+        best, i, j = 0, 0, bisect.bisect_right(self.keys, room) - 1
+        while i <= j:
+            x, y = self.keys[i], self.keys[j]
+            if x + y > room:
+                j -= 1
+                continue
+            if self.n[x] - (x == size) >= 1 + (i == j) and self.n[y] > (y == size):
+                best = max(best, x + y)
+                if best == room:
+                    break
+                i += 1
+            elif self.n[x] == (x == size):  # only the piece itself
+                i += 1
+            else:
+                j -= 1
+        return best
+
 
 def reduce_by_dominance(counts: Counts, capacity: int) -> list[tuple[tuple[int, ...], int]]:
     """Fix dominating sets; what stays in ``counts`` is the reduced instance.
@@ -88,8 +118,8 @@ def reduce_by_dominance(counts: Counts, capacity: int) -> list[tuple[tuple[int,
         if partner is None:
             plan.append(((size,), own))
             counts.take(size, own)
-        elif partner == room or counts.least_two() > room:
-            # Exact fill, or room for one other piece at most: the largest partner dominates.
+        elif partner == room or counts.least_two() > room or (counts.least_others(3, size) > room and counts.best_pair(room, size) <= partner):
+            # Exact fill, room for one other piece at most, or for two that the largest partner can stand in for.
             k = own // 2 if partner == size else min(own, counts.n[partner])
             if not k:
                 at -= 1
