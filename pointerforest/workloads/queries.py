@@ -211,6 +211,21 @@ def permuted(spark, d):
     return spark.createDataFrame([(level, A.connected_components(edges, level=level).iterations) for level in (1, 4, 5)], "level int, iterations int")
 
 
+def mixed_path(edges: DataFrame, ids: DataFrame) -> DataFrame:
+    """Edges with ids moved by (id * 7919) mod m, one-to-one: m is beyond all ids and no multiple of the prime 7919."""
+    m = (ids.agg(F.max("id")).first()[0] or 0) + 1
+    m += m % 7919 == 0
+    return edges.selectExpr(f"(src * 7919) % {m} AS src", f"(dst * 7919) % {m} AS dst")
+
+
+@add("order_permuted_whole")
+def permuted_whole(spark, d):
+    """Rounds on the whole event path with mixed ids."""
+    edges, vertices = graph(spark, d, "eventpath")
+    edges, _ = keep(mixed_path(edges, vertices))
+    return spark.createDataFrame([(level, A.connected_components(edges, level=level).iterations) for level in (1, 4, 5)], "level int, iterations int")
+
+
 # Primitives on the forest of orders: parent = least order of the customer, or the one before.
 _STARS_SQL = "SELECT o_orderkey AS id, min(o_orderkey) OVER (PARTITION BY o_custkey) AS f FROM orders"
 _CHAINS_SQL = "SELECT o_orderkey AS id, coalesce(lag(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderkey), o_orderkey) AS f FROM orders"

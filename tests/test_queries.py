@@ -6,7 +6,7 @@ import pytest
 from conftest import SF, rows_of
 
 from pointerforest.sources.edges import read_edges
-from pointerforest.workloads.queries import QUERIES, SQL
+from pointerforest.workloads.queries import QUERIES, SQL, mixed_path
 
 SLOW = {"iterations_ladder", "iteration_reduction", "cc_labelprop_chain", "order_permuted_vs_natural", "cc_shb_noprune", "cc_svfull_orderpart46", "cc_shb_orderpart46", "density_ladder", "graph_stats", "methods_agree", "cc_by_group", "cc_svfull_lastshortcut", "cc_bfs_nation", "cc_hybrid_orderpart", "stream_incremental_cc", "stream_watermark_late"}
 QUICK = sorted(n for n in SQL if n not in SLOW and (not n.startswith(("cc_accel", "cc_level", "cc_product", "cc_gather")) or n in ("cc_accel_orderpart46", "cc_accel_pagehref", "cc_level2_orderpart46")))
@@ -28,6 +28,13 @@ def test_members_stand_for_the_pairs_of_all_vertices(spark):
     assert all(rows[a][0] == rows[b][0] for a, b in some) and len(some) < sum(n for _, n in rows.values()) // 2
 
 
+@pytest.mark.parametrize("n", [7919, 12_000, 20_014])
+def test_mixed_path_is_whole_and_one_to_one(spark, n):
+    path = spark.range(n - 1).selectExpr("id AS src", "id + 1 AS dst")
+    got = mixed_path(path, spark.range(n)).collect()
+    assert len(got) == n - 1 and len({x for r in got for x in r}) == n
+
+
 def test_plan_keeps_scans_narrow(spark):
     from pointerforest.workloads.graphs import GRAPHS
 
