@@ -199,8 +199,8 @@ def first_correct(spark, d):
 _PATH_SQL = "SELECT (a.event_id * 7919) % 10007 AS src, (b.event_id * 7919) % 10007 AS dst FROM events a JOIN events b ON b.event_id = a.event_id + 1 WHERE b.event_id < 2000"
 
 
-def _path_iterations(level: int) -> str:
-    sql = O.trajectory("eventpath", level, "SELECT k FROM st").replace(O.base(GRAPHS["eventpath"].edge_sql, GRAPHS["eventpath"].vertex_sql), O.base(_PATH_SQL, "SELECT 0 AS id WHERE false"))
+def _path_iterations(level: int, path: str = _PATH_SQL) -> str:
+    sql = O.trajectory("eventpath", level, "SELECT k FROM st").replace(O.base(GRAPHS["eventpath"].edge_sql, GRAPHS["eventpath"].vertex_sql), O.base(path, "SELECT 0 AS id WHERE false"))
     return f"SELECT CAST({level} AS INT) AS level, (SELECT CAST(max(k) AS INT) FROM ({sql})) AS iterations"
 
 
@@ -218,7 +218,10 @@ def mixed_path(edges: DataFrame, ids: DataFrame) -> DataFrame:
     return edges.selectExpr(f"(src * 7919) % {m} AS src", f"(dst * 7919) % {m} AS dst")
 
 
-@add("order_permuted_whole")
+_WHOLE_PATH_SQL = "SELECT (a.event_id * 7919) % m AS src, (b.event_id * 7919) % m AS dst FROM events a JOIN events b ON b.event_id = a.event_id + 1 CROSS JOIN (SELECT n + CAST(n % 7919 = 0 AS BIGINT) AS m FROM (SELECT max(event_id) + 1 AS n FROM events))"
+
+
+@add("order_permuted_whole", " UNION ALL ".join(_path_iterations(level, _WHOLE_PATH_SQL) for level in (1, 4, 5)))
 def permuted_whole(spark, d):
     """Rounds on the whole event path with mixed ids."""
     edges, vertices = graph(spark, d, "eventpath")
