@@ -24,25 +24,30 @@ are pieces of their own; an empty table gives no rows; a null id stays null.
 from __future__ import annotations
 
 import bisect
+import json
 import os
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ._spark import documents, stored
-from ._text import flat_bytes, groups_of, hash_words, ids_of, ids_out, release, words_of
+from ._text import BYTE_CODE, BYTE_POWERS, U, flat_bytes, groups_of, ids_of, ids_out, mix, prefix_hash, release, span_hash, words_of
 
-#: Entries of a worker's memo of encoded pre-tokens.
-MEMO = 500_000
+#: Entries, and ids in them, of a generation of a worker's memo of encoded stretches.
+MEMO, MEMO_IDS = 750_000, 4_000_000
 #: Bytes of text encoded together.
-GROUP_BYTES = 8 << 20
+GROUP_BYTES = 4 << 20
 _MARK = "\x01"
+#: Below it, characters are letters or not whatever their neighbours are.
+_SIMPLE = "\u0250"
 _encoders: dict[str, tuple[object, Memo]] = {}
+_ends: dict[int, np.ndarray] = {}
 
 
 class Counts:
@@ -203,43 +208,144 @@ def slots_of(plan: list[tuple[tuple[int, ...], int]]) -> dict[int, tuple[np.ndar
 
 
 class Memo:
-    """Ids of pre-tokens met before; the older half goes when ``MEMO`` entries are reached."""
+    """Ids of stretches met before, by 64-bit hash: sorted keys and places in one pool of ids.
+
+    Two generations: what is asked for again moves to the young one; the old one goes when
+    the young one holds ``MEMO`` entries or ``MEMO_IDS`` ids.
+    """
 
     def __init__(self):
-        self.young: dict[str, bytes] = {}
-        self.old: dict[str, bytes] = {}
-
-    def fill(self, tokenizer, pieces: set[str]) -> dict[str, bytes]:
-        """Ids of these pieces as little-endian unsigned 32-bit numbers."""
-        got = {w: ids for w in pieces if (ids := self.young.get(w) or self.old.get(w)) is not None}
-        got |= encode_new(tokenizer, [w for w in pieces if w not in got])
-        if len(self.young) + len(got) > MEMO // 2:
-            self.old, self.young = self.young, {}
-        self.young.update(got)
+        self.young, self.old = _Generation(), _Generation()
+
+    def fill(self, tokenizer, keys: np.ndarray, text_of: Callable[[np.ndarray], list[bytes]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(pool, start, size) of these sorted distinct keys; ``text_of`` gives the bytes of the unknown ones."""
+        known = self.young.has(keys)
+        missing = np.flatnonzero(~known)
+        again = missing[self.old.has(keys[missing])]
+        if len(again):
+            self.young.add(keys[again], *self.old.take(keys[again]))
+        new = np.setdiff1d(missing, again, assume_unique=True)
+        if len(new):
+            flat, size = encode_new(tokenizer, text_of(new))
+            self.young.add(keys[new], flat, size)
+        at = np.searchsorted(self.young.keys, keys)
+        got = self.young.pool, self.young.start[at], self.young.size[at]
+        if len(self.young.keys) >= MEMO or len(self.young.pool) >= MEMO_IDS:
+            self.old, self.young = self.young, _Generation()
         return got
 
 
-def encode_new(tokenizer, new: list[str]) -> dict[str, bytes]:
-    """Many stretches at a time, with a control character between that is a token of its own."""
-    out = {w: np.array(tokenizer.encode(w, add_special_tokens=False).ids, "<u4").tobytes() for w in new if _MARK in w or "<|" in w}
-    new = [w for w in new if w not in out] if out else new
+class _Generation:
+    """Sorted hashes with the ids of each in a common pool."""
+
+    def __init__(self):
+        self.keys, self.start, self.size, self.pool = np.zeros(0, U), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, "<u4")
+
+    def has(self, keys: np.ndarray) -> np.ndarray:
+        if not len(self.keys):
+            return np.zeros(len(keys), bool)
+        return self.keys[np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)] == keys
+
+    def take(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        at = np.searchsorted(self.keys, keys)
+        return gathered(self.pool, self.start[at], self.size[at]), self.size[at]
+
+    def add(self, keys: np.ndarray, flat: np.ndarray, size: np.ndarray) -> None:
+        start = len(self.pool) + np.cumsum(size) - size
+        at = np.searchsorted(self.keys, keys)
+        self.keys, self.start, self.size = np.insert(self.keys, at, keys), np.insert(self.start, at, start), np.insert(self.size, at, size)
+        self.pool = np.concatenate([self.pool, flat])
+
+
+def gathered(pool: np.ndarray, start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """The runs ``pool[start : start + size]`` one after another."""
+    total = np.cumsum(size)
+    return pool[np.repeat(start - total + size, size) + np.arange(total[-1] if len(total) else 0)]
+
+
+def encode_new(tokenizer, new: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Ids of all stretches one after another, and how many each has.
+
+    Stretches of letters alone are one pre-token each, whose last token says that a word
+    ends there, so they are encoded many at a time with a space between. Others have a
+    control character between that is a token of its own.
+    """
+    texts = [w.decode() for w in new]
+    letters = [i for i, w in enumerate(texts) if w.isalpha() and (w.isascii() or max(w) < _SIMPLE and w.lower().isalpha())]
+    got: dict[int, np.ndarray] = {}
+    ends = word_ends(tokenizer)
+    _encode_some(tokenizer, texts, letters, " ", lambda ids: np.flatnonzero(ends[ids]) + 1, 0, got)
     mark = tokenizer.encode(_MARK, add_special_tokens=False).ids
-    for at in range(0, len(new), 64 * 256):
-        groups = [new[i : i + 64] for i in range(at, min(len(new), at + 64 * 256), 64)]
-        found = tokenizer.encode_batch_fast([f" {_MARK} ".join([*g, ""]) for g in groups], add_special_tokens=False)
+    if len(mark) != 1:
+        raise ValueError("the vocabulary has no token of its own for the mark")
+    rest = [i for i in range(len(texts)) if i not in got]
+    _encode_some(tokenizer, texts, [i for i in rest if _MARK not in texts[i] and "<|" not in texts[i]], f" {_MARK} ", lambda ids: np.flatnonzero(ids == mark[0]), 1, got)
+    for i in rest:
+        if i not in got:
+            got[i] = np.array(tokenizer.encode(texts[i], add_special_tokens=False).ids, "<u4")
+    parts = [got[i] for i in range(len(texts))]
+    return np.concatenate(parts), np.fromiter(map(len, parts), np.int64, len(parts))
+
+
+def _encode_some(tokenizer, texts: list[str], who: list[int], between: str, ends_of, skip: int, got: dict[int, np.ndarray]) -> None:
+    """64 stretches at a time; a group whose ends cannot be told is left to the caller."""
+    for at in range(0, len(who), 64 * 256):
+        groups = [who[i : i + 64] for i in range(at, min(len(who), at + 64 * 256), 64)]
+        found = tokenizer.encode_batch_fast([between.join([*(texts[i] for i in g), ""]) for g in groups], add_special_tokens=False)
         for group, e in zip(groups, found, strict=True):
             ids = np.array(e.ids, "<u4")
-            ends = (4 * np.flatnonzero(ids == mark[0])).tolist()
-            if len(mark) != 1 or len(ends) != len(group):
-                raise ValueError("the vocabulary has no token of its own for the mark")
-            raw, start = ids.tobytes(), 0
-            for w, end in zip(group, ends, strict=True):
-                out[w] = raw[start:end]
-                start = end + 4
-    return out
-
-
-_TAILS = frozenset(".,!?;:|")
+            ends = ends_of(ids)
+            if len(ends) == len(group) and (len(ids) == ends[-1] + skip):
+                start = 0
+                for i, end in zip(group, ends.tolist(), strict=True):
+                    got[i] = ids[start:end]
+                    start = end + skip
+
+
+def word_ends(tokenizer) -> np.ndarray:
+    """Which ids are the last of a pre-token."""
+    if id(tokenizer) not in _ends:
+        suffix = json.loads(tokenizer.to_str())["model"].get("end_of_word_suffix") or "\0"
+        vocab = tokenizer.get_vocab(with_added_tokens=True)
+        last = np.zeros(max(vocab.values(), default=0) + 1, bool)
+        last[[i for w, i in vocab.items() if w.endswith(suffix)]] = True
+        _ends[id(tokenizer)] = last
+    return _ends[id(tokenizer)]
+
+
+#: Marks that may follow a letter as a pre-token of their own: no apostrophe, no < and >.
+_IS_TAIL = np.zeros(256, bool)
+_IS_TAIL[[b for b in range(33, 127) if not chr(b).isalnum() and chr(b) not in "'<>"]] = True
+_IS_UPPER, _IS_LETTER = np.zeros(256, bool), np.zeros(256, bool)
+_IS_UPPER[65:91] = _IS_LETTER[65:91] = _IS_LETTER[97:123] = True
+#: Characters of two bytes that are letters, also when lowered (a dotted capital I ends in a mark then).
+_TWO_BYTES = np.array([chr(c).isalpha() and chr(c).lower().isalpha() for c in range(1 << 11)])
+
+
+def cores_of(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(data, start, core, end, words per text) of the stretches between ASCII white space.
+
+    ``core`` parts letters from a run of marks behind them, which is a pre-token of its
+    own, so that few distinct stretches remain; capitals of ASCII stretches are lowered in
+    ``data``, as the normalizer would. A stretch with < stays whole: special strings are literal.
+    """
+    start, end, counts = words_of(data, offsets)
+    if not len(start):
+        return data, start, start, end, counts
+    place = np.where(_IS_TAIL[data], np.int32(-1), np.arange(len(data), dtype=np.int32 if len(data) < 1 << 31 else np.int64))
+    np.maximum.accumulate(place, out=place)
+    core = np.maximum(place[end - 1] + 1, start).astype(np.int64)
+    last = data[np.maximum(core - 1, 0)]
+    before = data[np.maximum(core - 2, 0)].astype(np.int64)
+    letter = _IS_LETTER[last] | ((last >= 128) & (before >= 194) & (before < 224) & (core - 2 >= start) & _TWO_BYTES[(before & 31) << 6 | (last & 63)])
+    core = np.where((core > start) & letter, core, end)
+    odd = np.append(0, np.cumsum((data >= 128) | (data == 60), dtype=np.int32))
+    upper = np.flatnonzero(_IS_UPPER[data])
+    whose = np.searchsorted(start, upper, "right") - 1
+    upper = upper[odd[end[whose]] == odd[start[whose]]]
+    data = data.copy()
+    data[upper] += 32
+    return data, start, core, end, counts
 
 
 def encode_all(tokenizer, memo: Memo, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -247,36 +353,35 @@ def encode_all(tokenizer, memo: Memo, data: np.ndarray, offsets: np.ndarray) ->
 
     White space never lies inside a token of this tokenizer, so texts are encoded by
     the stretches between ASCII white space, each distinct one (told apart by a 64-bit
-    hash) once; letters with one mark behind them are two pre-tokens, which many
-    stretches share.
+    hash) once.
     """
-    start, end, counts = words_of(data, offsets)
-    hashes, _ = hash_words(data, offsets)
-    _, first, which = np.unique(hashes, return_index=True, return_inverse=True)
-    raw = data.tobytes()
-    words = [raw[a:b].decode() for a, b in zip(start[first].tolist(), end[first].tolist(), strict=True)]
-    cores, tails, pieces = [], [], set(_TAILS)
-    for w in words:
-        t = w[-1]
-        if t in _TAILS and (core := w[:-1]).isalpha() and "\u03a3" not in core:
-            core = core.lower()
-        else:
-            core, t = w, ""
-            if w.isalpha() and "\u03a3" not in w:
-                core = w.lower()
-        cores.append(core)
-        tails.append(t)
-    pieces.update(cores)
-    ids = memo.fill(tokenizer, pieces)
-    ids[""] = b""
-    got = [ids[c] + ids[t] for c, t in zip(cores, tails, strict=True)]
-    size = np.fromiter(map(len, got), np.int64, len(got)) // 4
-    pool = np.frombuffer(b"".join(got), "<u4")
-    at = np.append(0, np.cumsum(size))[:-1][which] if len(which) else which
-    size = size[which]
+    parts = []
+    for i, j in groups_of(offsets, 1 << 20):
+        base = offsets[i]
+        low, start, core, end, counts = cores_of(data[base : offsets[j]], offsets[i : j + 1] - base)
+        prefix = prefix_hash(BYTE_CODE[low], BYTE_POWERS)
+        hashes = mix(span_hash(prefix, np.concatenate([start, core]), np.concatenate([core, end]), BYTE_POWERS) + np.concatenate([core - start, end - core]).astype(U))
+        parts.append((low, hashes, base + np.concatenate([start, core]), base + np.concatenate([core, end]), counts))
+    if not parts:
+        return np.zeros(0, "<u4"), np.zeros(len(offsets), np.int64)
+    raw = np.concatenate([p[0] for p in parts]).tobytes()
+    hashes, start, end, counts = (np.concatenate([p[k] for p in parts]) for k in (1, 2, 3, 4))
+    words = [len(p[1]) // 2 for p in parts]
+    which, keys = pd.factorize(hashes)
+    first = np.empty(len(keys), np.int64)
+    first[which[::-1]] = np.arange(len(which) - 1, -1, -1)
+    order = np.argsort(keys)
+    places = first[order]
+    pool, at, size = memo.fill(tokenizer, keys[order], lambda new: [raw[a:b] for a, b in zip(start[places[new]].tolist(), end[places[new]].tolist(), strict=True)])
+    rank = np.empty(len(keys), np.int64)
+    rank[order] = np.arange(len(keys))
+    which = rank[which]
+    # Cores and tails take turns again.
+    edge = np.append(0, np.cumsum([2 * n for n in words]))
+    turn = np.concatenate([np.arange(2 * n).reshape(2, n).T.ravel() + e for n, e in zip(words, edge, strict=False)])
+    at, size = at[which[turn]], size[which[turn]]
     total = np.append(0, np.cumsum(size))
-    flat = pool[np.repeat(at - total[:-1], size) + np.arange(total[-1])]
-    return flat, total[np.append(0, np.cumsum(counts))]
+    return gathered(pool, at, size), total[2 * np.append(0, np.cumsum(counts))]
 
 
 def token_pieces(docs: DataFrame, vocabulary: str, *, capacity: int = 2048, end_id: int = 0, id_col: str = "doc_id", text_col: str = "text", keep_ids: bool = False) -> DataFrame:
