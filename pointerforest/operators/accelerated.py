@@ -10,21 +10,28 @@ retry gives the same forest. Five levels, each adding one acceleration:
 3. hook any tree top, not only roots ("stochastic"), flatten on the old forest;
 4. every vertex also takes the least neighbouring grandparent itself ("aggressive");
 5. stop once grandparents are stable, a round earlier than parents.
+
+Edges are laid out once (``plans.layout``); in every round the vector travels to them and
+they stay.
 """
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.store import forget, keep, partitioned
-from .edges import symmetrize, vertices_of
-from .vectors import gather, grid_neighbour_min, neighbour_min
+from ..plans.layout import HUB_EDGES, Layout, degrees, lay_out
+from ..plans.store import Scratch, forget
+from .edges import contract, vertices_of
+from .vectors import at_edges, gather, grid_neighbour_min, neighbour_min
 
 #: Share of changed grandparents up to which only changed entries are multiplied.
 SPARSE_THRESHOLD = 0.1
+#: Which of several edges writes a slot of levels 1 and 2: the least or the greatest value, or that of the edge whose ends hash least.
+TIES = ("min", "max", "hash")
 #: Below this many vertices hot parents need no care of their own.
 HOT_ROWS = 5_000_000
 HOT = 64
@@ -56,11 +63,15 @@ class Options:
     gather: str = "auto"
     grid: tuple[int, int] | None = None
     extra_shortcut: bool = False
+    tie: str = "min"
+    hub_edges: int | None = None
     max_iter: int = 200
 
     def __post_init__(self):
         if self.level not in (1, 2, 3, 4, 5):
             raise ValueError("level is 1 to 5")
+        if self.tie not in TIES or self.tie != "min" and self.level > 2:
+            raise ValueError(f"tie is one of {', '.join(TIES)}; from level 3 on every slot takes the minimum")
         self.hook_depth = self.hook_depth or (1 if self.level == 1 else 2)
         plain = self.level == 5 and self.hook_depth == 2
         if self.stop == "auto":
@@ -72,16 +83,11 @@ class Options:
         return HOT if self.gather == "hot" or self.gather == "auto" and n >= HOT_ROWS else 0
 
 
-def prepare(edges: DataFrame, vertices: DataFrame | None) -> tuple[DataFrame, DataFrame, int]:
-    """Symmetric edges by ``dst`` and start vertices by ``id``, both materialised once."""
-    # Ends of rows that are no edges (loops, one end missing) are vertices all the same.
-    loose = vertices_of(edges.where("src IS NULL OR dst IS NULL OR src = dst"))
-    edges = partitioned(symmetrize(edges), "dst")
-    ids = edges.select(F.col("src").alias("id")).union(loose).distinct()
-    if vertices is not None:
-        ids = ids.union(vertices.select(F.col("id").cast("long")).where("id IS NOT NULL")).distinct()
-    ids, seen = keep(ids, n=F.count(F.lit(1)))
-    return edges, ids, seen["n"]
+def prepare(edges: DataFrame, vertices: DataFrame | None, scratch: Scratch, hub_edges: int | None = None) -> tuple[Layout, DataFrame, int]:
+    """Laid-out symmetric edges and the vertices (id), both materialised once: two passes over the edges."""
+    hub_edges = hub_edges or HUB_EDGES
+    known, seen = scratch.keep(degrees(edges, vertices), n=F.count(F.lit(1)), hubs=F.count_if(F.col("degree") > hub_edges))
+    return lay_out(edges, known, seen["hubs"], hub_edges=hub_edges), known.select("id"), seen["n"]
 
 
 def start_state(ids: DataFrame, init: DataFrame | None, hot: int) -> DataFrame:
@@ -93,17 +99,25 @@ def start_state(ids: DataFrame, init: DataFrame | None, hot: int) -> DataFrame:
     return gather(flat, "f", "gf", hot=hot).withColumn("mngf", F.col("id"))
 
 
-def hook_proposals(edges: DataFrame, state: DataFrame, depth: int, hot: int) -> DataFrame:
+def hook_proposals(edges: Layout, state: DataFrame, o: Options, n: int, hot: int) -> DataFrame:
     """Levels 1 and 2: (id, value) for roots with a smaller neighbouring parent.
 
-    The test is on the neighbour's parent, the value its ancestor of ``depth``.
+    The test is on the neighbour's parent, the value its ancestor of ``hook_depth``. With
+    ties to the least parent of all neighbours a plain product tells it; otherwise roots
+    travel to their edges, and only edges at roots go on to the parents at their other end.
     """
-    target = {1: "f", 2: "gf"}.get(depth)
+    if o.hook_depth == 1 and o.tie == "min":
+        roots = state.where("f = gf").select(F.col("id").alias("src"), F.col("f").alias("fu"))
+        least = neighbour_min(edges, state, "f", rows=n).join(roots, "src").where("mn < fu")
+        return least.groupBy(F.col("fu").alias("id")).agg(F.min("mn").alias("value"))
+    target = {1: "f", 2: "gf"}.get(o.hook_depth)
     if target is None:
-        state, target = ancestors(state, depth, hot)
-    u = state.where("f = gf").select(F.col("id").alias("src"), F.col("f").alias("fu"))
-    v = state.select(F.col("id").alias("dst"), F.col("f").alias("fv"), F.col(target).alias("value"))
-    return edges.join(v, "dst").join(u, "src").where("fv < fu").groupBy(F.col("fu").alias("id")).agg(F.min("value").alias("value"))
+        state, target = ancestors(state, o.hook_depth, hot)
+    at_roots = at_edges(edges, state.where("f = gf"), "f", rows=n).select("src", "dst", F.col("_v").alias("fu"))
+    v = state.select(F.col("id").alias("src"), F.col("f").alias("fv"), F.col(target).alias("value"))
+    found = at_roots.join(v, "src").where("fv < fu").groupBy(F.col("fu").alias("id"))
+    pick = {"min": F.min("value"), "max": F.max("value"), "hash": F.min_by("value", F.struct(F.xxhash64("src", "dst"), F.col("value")))}
+    return found.agg(pick[o.tie].alias("value"))
 
 
 def ancestors(state: DataFrame, depth: int, hot: int) -> tuple[DataFrame, str]:
@@ -117,9 +131,9 @@ def ancestors(state: DataFrame, depth: int, hot: int) -> tuple[DataFrame, str]:
     return state, at
 
 
-def round_of_roots(edges: DataFrame, state: DataFrame, o: Options, hot: int) -> DataFrame:
+def round_of_roots(edges: Layout, state: DataFrame, o: Options, n: int, hot: int) -> DataFrame:
     """Levels 1 and 2: hook, then flatten the hooked forest."""
-    to = hook_proposals(edges, state, o.hook_depth, hot)
+    to = hook_proposals(edges, state, o, n, hot)
     hooked = state.join(to, "id", "left").select("id", F.least("f", "value").alias("h"), F.col("f").alias("f_prev"), F.col("gf").alias("gf_prev"))
     out = gather(hooked, "h", "f", value="h", hot=hot).select("id", "f", "f_prev", "gf_prev")
     return out.withColumn("mngf", F.col("id"))
@@ -141,24 +155,24 @@ def round_of_minima(product: DataFrame, state: DataFrame, o: Options) -> DataFra
     return s.select(F.inline(sends)).groupBy("id").agg(F.min("f").alias("f"), *[F.max(c).alias(c) for c in ("f_prev", "gf_prev", "mngf")])
 
 
-def product_of(edges: DataFrame, state: DataFrame, o: Options, first: bool, changed: int, n: int, hot: int) -> tuple[DataFrame, str]:
+def product_of(edges: Layout, state: DataFrame, o: Options, first: bool, changed: int, n: int, hot: int) -> tuple[DataFrame, str]:
     """Least neighbouring grandparent, over all entries or the changed ones only."""
-    state, at = ancestors(state, o.hook_depth, hot)
     if first:
-        return edges.groupBy("src").agg(F.min("dst").alias("mn")), "dense"  # each vertex is its own grandparent
+        return edges.least_neighbour(), "dense"  # each vertex is its own grandparent
+    state, at = ancestors(state, o.hook_depth, hot)
     sparse = o.product == "sparse" or o.product == "auto" and changed <= o.sparse_threshold * n
     if sparse and o.hook_depth == 2 and "gf_prev" in state.columns:
         return neighbour_min(edges, state.where("gf <> gf_prev"), at, rows=changed), "sparse"
     if o.grid:
         return grid_neighbour_min(edges, state, at, *o.grid), "dense"
-    return neighbour_min(edges, state, at), "dense"
+    return neighbour_min(edges, state, at, rows=n), "dense"
 
 
-def one_round(edges: DataFrame, state: DataFrame, o: Options, *, first: bool, changed: int, n: int) -> tuple[DataFrame, str]:
+def one_round(edges: Layout, state: DataFrame, o: Options, *, first: bool, changed: int, n: int) -> tuple[DataFrame, str]:
     """(id, f, f_prev, gf, gf_prev, mngf) after a round, not yet materialised."""
     hot, kind = o.hot(n), "dense"
     if o.level <= 2:
-        out = round_of_roots(edges, state, o, hot)
+        out = round_of_roots(edges, state, o, n, hot)
     else:
         product, kind = product_of(edges, state, o, first, changed, n, hot)
         out = round_of_minima(product, state, o)
@@ -179,13 +193,23 @@ def connected_components(edges: DataFrame, vertices: DataFrame | None = None, *,
 
         return baselines.METHODS[method](edges, vertices, **options)
     o = Options(**options)
-    edges, ids, n = prepare(edges, vertices)
+    with Scratch() as scratch:
+        layout, ids, n = prepare(edges, vertices, scratch, o.hub_edges)
+        try:
+            return _rounds(layout, ids, n, init, o, scratch, on_round)
+        finally:
+            layout.drop()
+
+
+def _rounds(layout: Layout, ids: DataFrame, n: int, init: DataFrame | None, o: Options, scratch: Scratch, on_round) -> Run:
     state, changed, trace = start_state(ids, init, o.hot(n)), n, []
     if init is not None:
-        state, _ = keep(state)
+        state, _ = scratch.keep(state)
     for k in range(1, o.max_iter + 1):
-        new, kind = one_round(edges, state, o, first=k == 1 and init is None, changed=changed, n=n)
-        state, seen = keep(
+        began = time.monotonic()
+        new, kind = one_round(layout, state, o, first=k == 1 and init is None, changed=changed, n=n)
+        old = state
+        state, seen = scratch.keep(
             new,
             changed_gf=F.count_if(F.col("gf") != F.col("gf_prev")),
             changed_f=F.count_if(F.col("f") != F.col("f_prev")),
@@ -193,18 +217,31 @@ def connected_components(edges: DataFrame, vertices: DataFrame | None = None, *,
         )
         if k > 1 and not on_round:
             forget(old)
-        old, changed = state, seen["changed_gf"]
-        trace.append({"iteration": k, **seen, "product": kind, "frontier_fraction": changed / n if n else 0.0})
+        changed = seen["changed_gf"]
+        trace.append({"iteration": k, **seen, "product": kind, "products": 1, "frontier_fraction": changed / n if n else 0.0, "seconds": time.monotonic() - began})
         if on_round:
-            on_round(state, k)
+            on_round(scratch.spare(state), k)
         if not seen["changed_gf" if o.stop == "gf" else "changed_f"]:
-            return Run(state.select("id", F.col("f").alias("component")), trace)
+            return Run(scratch.spare(state).select("id", F.col("f").alias("component")), trace)
     raise NotConverged(f"no rest after {o.max_iter} rounds")
 
 
+def incremental(labels: DataFrame, new_edges: DataFrame, vertices: DataFrame | None = None, **options) -> DataFrame:
+    """Labels (id, component) after more edges, from the labels before: old components shrink to
+    points, only the new edges between them are solved, and the labels compose. Old edges are not needed."""
+    ids = vertices_of(new_edges)
+    if vertices is not None:
+        ids = ids.union(vertices.select("id").where("id IS NOT NULL")).distinct()
+    known = labels.select("id", "component").unionByName(ids.join(labels, "id", "left_anti").select("id", F.col("id").alias("component")))
+    top = connected_components(contract(new_edges, known), **options).labels
+    joined = known.join(top.select(F.col("id").alias("component"), F.col("component").alias("_c")), "component", "left")
+    return joined.select("id", F.coalesce("_c", "component").alias("component"))
+
+
 def components_by_group(edges: DataFrame, group: str, ids_per_group: int, **options) -> DataFrame:
-    """Many graphs at once: (group, id, component); ids lie in 0 .. ids_per_group - 1."""
+    """Many graphs at once: (group, id, component). Ids lie in 0 .. ids_per_group - 1; others are an error, as they would fall into another graph."""
+    inside = lambda c: F.when(F.col(c).between(0, ids_per_group - 1), F.col(c)).when(F.col(c).isNotNull(), F.raise_error(F.concat(F.lit(f"{c} is not in 0 .. {ids_per_group - 1}: "), F.col(c).cast("string"))).cast("long"))
     at = F.col(group).cast("long") * ids_per_group
-    labels = connected_components(edges.select((at + F.col("src")).alias("src"), (at + F.col("dst")).alias("dst")), **options).labels
+    labels = connected_components(edges.select((at + inside("src")).alias("src"), (at + inside("dst")).alias("dst")), **options).labels
     own = F.floor(F.col("id") / ids_per_group).cast("long")
     return labels.select(own.alias(group), F.pmod("id", F.lit(ids_per_group)).alias("id"), F.pmod("component", F.lit(ids_per_group)).alias("component"))

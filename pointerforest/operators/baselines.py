@@ -7,12 +7,16 @@ smallest id of each tree.
 
 from __future__ import annotations
 
+import time
+from functools import reduce
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.store import keep
+from ..plans.layout import Layout
+from ..plans.store import Scratch, forget, keep
 from .accelerated import NotConverged, Run, connected_components, prepare
-from .vectors import gather, neighbour_min, scatter_min
+from .vectors import at_edges, gather, neighbour_min, scatter_min
 
 
 def mark_stars(state: DataFrame) -> DataFrame:
@@ -22,26 +26,25 @@ def mark_stars(state: DataFrame) -> DataFrame:
     return gather(own, "f", "s1", value="s0").withColumn("star", F.col("s0") & F.col("s1")).drop("s0", "s1")
 
 
-def hook_conditional(edges: DataFrame, state: DataFrame, *, only_stars: bool, upward_only: bool = False) -> DataFrame:
+def hook_conditional(edges: DataFrame | Layout, state: DataFrame, *, only_stars: bool, upward_only: bool = False, rows: int | None = None) -> DataFrame:
     """(id, value): roots with the least smaller parent next to their tree.
 
     ``upward_only`` leaves out targets whose own parent is larger than they are.
     """
     values = state.where("gf <= f") if upward_only else state
-    mn = neighbour_min(edges, values, "f").withColumnRenamed("src", "id")
+    mn = neighbour_min(edges, values, "f", rows=rows).withColumnRenamed("src", "id")
     own = state.where("star" if only_stars else "f = gf")
     return scatter_min(own.join(mn, "id").where("mn < f").select("f", F.col("mn").alias("value")), "f", "value")
 
 
-def outside(edges: DataFrame, state: DataFrame) -> DataFrame:
-    """Per vertex, a neighbour's parent outside its tree of height one: the least, or else the greatest, that differs."""
-    v = state.select(F.col("id").alias("dst"), F.col("f").alias("_v"))
-    ends = edges.join(v, "dst").groupBy(F.col("src").alias("id")).agg(F.min("_v").alias("lo"), F.max("_v").alias("hi"))
+def outside(edges: DataFrame | Layout, state: DataFrame, *, rows: int | None = None) -> DataFrame:
+    """Per vertex of a star, a neighbour's parent outside its tree: the least, or else the greatest, that differs."""
+    ends = at_edges(edges, state, "f", rows=rows).groupBy(F.col("src").alias("id")).agg(F.min("_v").alias("lo"), F.max("_v").alias("hi"))
     pick = F.when(F.col("lo") != F.col("f"), F.col("lo")).when(F.col("hi") != F.col("f"), F.col("hi"))
     return state.where("star").join(ends, "id").select("f", pick.alias("value")).where("value IS NOT NULL")
 
 
-def hook_unconditional(edges: DataFrame, state: DataFrame, touched: DataFrame) -> DataFrame:
+def hook_unconditional(edges: DataFrame | Layout, state: DataFrame, touched: DataFrame) -> DataFrame:
     """(id, value): roots of stars that neither hooked nor were hooked onto, below any other tree."""
     return scatter_min(outside(edges, state), "f", "value").join(touched, "id", "left_anti")
 
@@ -50,49 +53,71 @@ def _set(state: DataFrame, to: DataFrame) -> DataFrame:
     return state.join(to, "id", "left").withColumn("f", F.coalesce("value", "f")).drop("value")
 
 
-def _tree_scheme(edges, vertices, *, only_stars: bool, middle_shortcut: bool, last_shortcut: bool, prune: bool, max_iter: int) -> Run:
-    edges, ids, n = prepare(edges, vertices)
-    state, _ = keep(ids.select("id", F.col("id").alias("f"), F.col("id").alias("gf")))
-    done, trace = None, []
+#: Edges of finished trees are taken out of the layout once they touch this share of the vertices.
+PRUNE_SHARE = 0.1
+
+
+def _tree_scheme(edges, vertices, *, only_stars: bool, middle_shortcut: bool, last_shortcut: bool, prune: bool, max_iter: int, hub_edges: int | None = None) -> Run:
+    """Rounds on the same edge layout as the accelerated method: two products and two written
+    tables (three with a middle shortcut) a round, which the steps themselves ask for."""
+    with Scratch() as scratch:
+        layout, ids, n = prepare(edges, vertices, scratch, hub_edges)
+        own = [layout]
+        try:
+            return _tree_rounds(own, ids, n, scratch, only_stars, middle_shortcut, last_shortcut, prune, max_iter)
+        finally:
+            own[-1].drop()
+
+
+def _tree_rounds(own: list[Layout], ids: DataFrame, n: int, scratch: Scratch, only_stars: bool, middle_shortcut: bool, last_shortcut: bool, prune: bool, max_iter: int) -> Run:
+    state = ids.select("id", F.col("id").alias("f"), F.col("id").alias("gf"))
+    done, trace, left, gone = None, [], n, []
     for k in range(1, max_iter + 1):
-        marked = mark_stars(state.select("id", "f", "gf", F.col("f").alias("f_prev"))) if only_stars else state.select("id", "f", "gf", F.col("f").alias("f_prev"))
-        marked, _ = keep(marked)
-        to, _ = keep(hook_conditional(edges, marked, only_stars=only_stars, upward_only=not last_shortcut))
-        touched = to.select(F.explode(F.array("id", "value")).alias("id")).distinct()
-        hooked = _set(marked.select("id", "f", "f_prev"), to)
+        began, layout = time.monotonic(), own[-1]
+        marked = state.select("id", "f", "gf", F.col("f").alias("f_prev"))
+        marked = mark_stars(marked) if only_stars else marked
+        to = hook_conditional(layout, marked, only_stars=only_stars, upward_only=not last_shortcut, rows=left)
+        touched = to.select(F.explode(F.array("id", "value")).alias("id")).distinct().withColumn("touched", F.lit(True))
+        hooked = _set(marked.select("id", "f", "f_prev"), to).join(touched, "id", "left").withColumn("touched", F.coalesce("touched", F.lit(False)))
         if middle_shortcut:
-            hooked, _ = keep(gather(hooked.withColumnRenamed("f", "h"), "h", "f", value="h"))
+            hooked, _ = scratch.keep(gather(hooked.withColumnRenamed("f", "h"), "h", "f", value="h"))
             # A tree that the shortcut has just flattened is not stagnant: its neighbour may hook this round too.
-            touched = touched.union(hooked.where("f <> h").select("f")).distinct()
-            hooked = hooked.select("id", "f", "f_prev")
-        hooked, _ = keep(mark_stars(gather(hooked, "f", "gf")))
+            flat = hooked.where("f <> h").select(F.col("f").alias("id")).distinct().withColumn("flat", F.lit(True))
+            hooked = hooked.join(flat, "id", "left").select("id", "f", "f_prev", (F.col("touched") | F.coalesce("flat", F.lit(False))).alias("touched"))
+        hooked, _ = scratch.keep(mark_stars(gather(hooked, "f", "gf")))
         # What the unconditional step sees also tells which stars have no edge to anywhere else.
-        free, _ = keep(hook_unconditional(edges, hooked, touched))
-        new = _set(hooked.select("id", "f", "f_prev", "star"), free)
+        free = scatter_min(outside(layout, hooked, rows=left), "f", "value")
+        roots = hooked.where("f = id").select(F.col("id").alias("_r"), F.col("touched").alias("_t")).join(free.withColumnRenamed("id", "_r"), "_r", "left")
+        new = hooked.join(roots, hooked["f"] == roots["_r"], "left")
+        hooks = F.col("star") & (F.col("id") == F.col("f")) & ~F.col("_t") & F.col("value").isNotNull()
+        over = F.col("star") & ~F.col("_t") & F.col("value").isNull()
+        new = new.select("id", F.when(hooks, F.col("value")).otherwise(F.col("f")).alias("f"), "f_prev", over.alias("over"))
         if last_shortcut or not middle_shortcut:
-            new = gather(new.withColumnRenamed("f", "h"), "h", "f", value="h").select("id", "f", "f_prev", "star")
-        state, seen = keep(gather(new, "f", "gf"), changed_f=F.count_if(F.col("f") != F.col("f_prev")), roots=F.count_if(F.col("f") == F.col("id")), n=F.count(F.lit(1)))
-        trace.append({"iteration": k, "changed_f": seen["changed_f"], "roots": seen["roots"], "inactive_fraction": 1 - seen["n"] / n if n else 0.0})
+            new = gather(new.withColumnRenamed("f", "h"), "h", "f", value="h").select("id", "f", "f_prev", "over")
+        state, seen = scratch.keep(gather(new, "f", "gf"), changed_f=F.count_if(F.col("f") != F.col("f_prev")), roots=F.count_if(F.col("f") == F.col("id")), n=F.count(F.lit(1)), over=F.count_if("over"))
+        trace.append({"iteration": k, "changed_f": seen["changed_f"], "roots": seen["roots"], "products": 2, "inactive_fraction": 1 - seen["n"] / n if n else 0.0, "seconds": time.monotonic() - began})
         if not seen["changed_f"]:
             labels = state.select("id", "f")
             labels = labels.unionByName(done) if done is not None else labels
             least = labels.groupBy("f").agg(F.min("id").alias("component"))
-            return Run(labels.join(least, "f").select("id", "component"), trace)
-        if prune:
-            busy = outside(edges, hooked).select("f").distinct()
-            rest = hooked.where("star").join(busy, "f", "left_anti").select("id", "f").join(touched.withColumnRenamed("id", "f"), "f", "left_anti")
-            over, count = keep(rest.select("id", "f"), n=F.count(F.lit(1)))
-            if count["n"]:
-                done = over if done is None else done.unionByName(over)
-                gone = over.select("id")
-                state, _ = keep(state.join(gone, "id", "left_anti"))
-                edges, _ = keep(edges.join(gone.withColumnRenamed("id", "src"), "src", "left_anti"))
+            out, _ = keep(labels.join(least, "f").select("id", "component"))
+            return Run(out, trace)
+        if prune and seen["over"]:
+            finished = state.where("over").select("id", "f")
+            done = finished if done is None else done.unionByName(finished)
+            state, left = state.where("NOT over"), seen["n"] - seen["over"]
+            gone.append((finished.select("id"), seen["over"]))
+            if sum(m for _, m in gone) >= PRUNE_SHARE * (left + sum(m for _, m in gone)):
+                ids_gone = reduce(DataFrame.unionByName, [g for g, _ in gone])
+                own.append(layout.without(ids_gone, sum(m for _, m in gone)))
+                layout.drop(hubs=False)
+                gone = []
     raise NotConverged(f"no rest after {max_iter} rounds")
 
 
-def star_hooking_components(edges: DataFrame, vertices: DataFrame | None = None, *, prune_converged: bool = True, max_iter: int = 100) -> Run:
+def star_hooking_components(edges: DataFrame, vertices: DataFrame | None = None, *, prune_converged: bool = True, hub_edges: int | None = None, max_iter: int = 100) -> Run:
     """The rival: detect stars, hook them below smaller neighbours, hook the untouched ones anywhere, flatten."""
-    return _tree_scheme(edges, vertices, only_stars=True, middle_shortcut=False, last_shortcut=True, prune=prune_converged, max_iter=max_iter)
+    return _tree_scheme(edges, vertices, only_stars=True, middle_shortcut=False, last_shortcut=True, prune=prune_converged, max_iter=max_iter, hub_edges=hub_edges)
 
 
 def sv_full_components(edges: DataFrame, vertices: DataFrame | None = None, *, final_shortcut: bool = True, max_iter: int = 100) -> Run:
@@ -102,54 +127,73 @@ def sv_full_components(edges: DataFrame, vertices: DataFrame | None = None, *, f
 
 def label_propagation_components(edges: DataFrame, vertices: DataFrame | None = None, *, max_iter: int = 1000) -> Run:
     """Every vertex takes the least label around it; rounds grow with the diameter."""
-    edges, ids, _ = prepare(edges, vertices)
-    state, trace = ids.select("id", F.col("id").alias("l")), []
-    for k in range(1, max_iter + 1):
-        mn = neighbour_min(edges, state, "l").withColumnRenamed("src", "id")
-        new = state.join(mn, "id", "left").select("id", F.least("l", "mn").alias("l"), F.col("l").alias("l_prev"))
-        state, seen = keep(new, changed=F.count_if(F.col("l") != F.col("l_prev")))
-        trace.append({"iteration": k, **seen})
-        if not seen["changed"]:
-            return Run(state.select("id", F.col("l").alias("component")), trace)
+    with Scratch() as scratch:
+        layout, ids, n = prepare(edges, vertices, scratch)
+        try:
+            state, trace = ids.select("id", F.col("id").alias("l")), []
+            for k in range(1, max_iter + 1):
+                old, began = state, time.monotonic()
+                mn = neighbour_min(layout, state, "l", rows=n).withColumnRenamed("src", "id")
+                new = state.join(mn, "id", "left").select("id", F.least("l", "mn").alias("l"), F.col("l").alias("l_prev"))
+                state, seen = scratch.keep(new, changed=F.count_if(F.col("l") != F.col("l_prev")))
+                trace.append({"iteration": k, **seen, "products": 1, "seconds": time.monotonic() - began})
+                if k > 1:
+                    forget(old)
+                if not seen["changed"]:
+                    return Run(scratch.spare(state).select("id", F.col("l").alias("component")), trace)
+        finally:
+            layout.drop()
     raise NotConverged(f"no rest after {max_iter} rounds")
 
 
-def reached_from(edges: DataFrame, seed: DataFrame, max_iter: int) -> tuple[DataFrame, int]:
+def reached_from(edges: Layout, seed: DataFrame, max_iter: int, scratch: Scratch) -> tuple[DataFrame, int]:
     """Ids that a breadth-first search from the seed ids reaches, and its levels."""
-    visited, frontier = seed, seed
+    visited, frontier, rows = seed, seed, 1
     for level in range(1, max_iter + 1):
-        step = edges.join(frontier.withColumnRenamed("id", "src"), "src", "left_semi").select(F.col("dst").alias("id")).distinct()
-        frontier, seen = keep(step.join(visited, "id", "left_anti"), n=F.count(F.lit(1)))
-        if not seen["n"]:
+        step = edges.meet(frontier, "id", rows=rows).select(F.col("src").alias("id")).distinct()
+        frontier, seen = scratch.keep(step.join(visited, "id", "left_anti"), n=F.count(F.lit(1)))
+        rows = seen["n"]
+        if not rows:
             return visited, level
-        visited, _ = keep(visited.union(frontier))
+        visited = visited.union(frontier)
+        if level % 16 == 0:  # a plan of many branches is as slow as a table
+            visited, _ = scratch.keep(visited)
     raise NotConverged(f"no rest after {max_iter} levels")
 
 
 def bfs_components(edges: DataFrame, vertices: DataFrame | None = None, *, max_iter: int = 1000) -> Run:
     """One search after the other, each from the smallest id not yet reached: for few, short components only."""
-    edges, ids, _ = prepare(edges, vertices)
-    left, labels, trace = ids, None, []
-    while (least := left.agg(F.min("id").alias("m")).first()["m"]) is not None:
-        found, levels = reached_from(edges, left.where(F.col("id") == least).select("id"), max_iter)
-        own = found.withColumn("component", F.lit(least).cast("long"))
-        labels = own if labels is None else labels.unionByName(own)
-        trace.append({"iteration": len(trace) + 1, "levels": levels})
-        left, _ = keep(left.join(found, "id", "left_anti"))
-    return Run(labels if labels is not None else ids.select("id", F.col("id").alias("component")), trace)
+    with Scratch() as scratch:
+        layout, ids, _ = prepare(edges, vertices, scratch)
+        try:
+            left, labels, trace = ids, None, []
+            while (least := left.agg(F.min("id").alias("m")).first()["m"]) is not None:
+                found, levels = reached_from(layout, left.where(F.col("id") == least).select("id"), max_iter, scratch)
+                own, _ = scratch.keep(found.withColumn("component", F.lit(least).cast("long")))
+                labels = own if labels is None else labels.unionByName(own)
+                trace.append({"iteration": len(trace) + 1, "levels": levels})
+                left, _ = scratch.keep(left.join(own, "id", "left_anti"))
+            out, _ = keep(labels if labels is not None else ids.select("id", F.col("id").alias("component")))
+            return Run(out, trace)
+        finally:
+            layout.drop()
 
 
 def hybrid_components(edges: DataFrame, vertices: DataFrame | None = None, *, max_iter: int = 1000) -> Run:
     """Our stand-in for a third distributed method: one search from the busiest vertex, hooking for the rest."""
-    edges, ids, _ = prepare(edges, vertices)
-    busiest = edges.groupBy(F.col("src").alias("id")).count().orderBy(F.desc("count"), "id").limit(1).select("id")
-    busiest, _ = keep(busiest)
-    found, levels = reached_from(edges, busiest, max_iter)
-    least = found.agg(F.min("id").alias("component"))
-    own = found.join(F.broadcast(least))  # one row
-    rest = edges.join(found.withColumnRenamed("id", "src"), "src", "left_anti")
-    run = connected_components(rest, ids.join(found, "id", "left_anti"))
-    return Run(own.select("id", "component").where("component IS NOT NULL").unionByName(run.labels), [{"iteration": 0, "levels": levels}, *run.trace])
+    with Scratch() as scratch:
+        layout, ids, _ = prepare(edges, vertices, scratch)
+        try:
+            busiest, _ = scratch.keep(layout.edges.groupBy(F.col("dst").alias("id")).count().orderBy(F.desc("count"), "id").limit(1).select("id"))
+            found, levels = reached_from(layout, busiest, max_iter, scratch)
+            found, seen = scratch.keep(found, least=F.min("id"), n=F.count(F.lit(1)))
+            rest = layout.edges.select("src", "dst").join(found.withColumnRenamed("id", "src"), "src", "left_anti")
+            run = connected_components(rest, ids.join(found, "id", "left_anti"))
+            own = found.select("id", F.lit(seen["least"]).cast("long").alias("component"))
+            out, _ = keep(own.where("component IS NOT NULL").unionByName(run.labels))
+            return Run(out, [{"iteration": 0, "levels": levels}, *run.trace])
+        finally:
+            layout.drop()
 
 
 METHODS = {"star_hooking": star_hooking_components, "sv_full": sv_full_components, "label_propagation": label_propagation_components, "bfs": bfs_components, "hybrid": hybrid_components}

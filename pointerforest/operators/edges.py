@@ -128,12 +128,15 @@ def last_before(df: DataFrame, key: str, ts: str, group: list[str], is_left: Col
 
 
 def index_vertices(df: DataFrame, column: str, mode: str = "dense") -> DataFrame:
-    """Natural key to id. ``dense``: rank 0, 1, ... by range partitions and their counts, without a global window. ``hash``: xxhash64."""
-    keys = df.select(F.col(column).alias("key")).where("key IS NOT NULL").distinct()
-    if mode == "hash":
-        return keys.select("key", F.xxhash64("key").alias("id"))
+    """Natural key to id. ``dense``: rank 0, 1, ... by range partitions and their counts, without a global window.
+    ``hash``: xxhash64; two keys with one hash are an error, as they would be one vertex."""
     from ..plans.store import keep
 
+    if mode not in ("dense", "hash"):
+        raise ValueError("mode is dense or hash")
+    keys = df.select(F.col(column).alias("key")).where("key IS NOT NULL").distinct()
+    if mode == "hash":
+        return checked_ids(keep(keys.select("key", F.xxhash64("key").alias("id")))[0])
     part, _ = keep(keys.repartitionByRange("key").withColumn("part", F.spark_partition_id()))
     sizes = {r["part"]: r["n"] for r in part.groupBy("part").agg(F.count(F.lit(1)).alias("n")).collect()}  # one row per partition
     base, at = [], 0
@@ -144,6 +147,14 @@ def index_vertices(df: DataFrame, column: str, mode: str = "dense") -> DataFrame
     return part.select("key", (inside - 1 + F.element_at(F.array(*[F.lit(b).cast("long") for b in base] or [F.lit(0)]), F.col("part") + 1)).cast("long").alias("id"))
 
 
+def checked_ids(mapping: DataFrame) -> DataFrame:
+    """The mapping (key, id) itself, if no id stands for two keys; otherwise an error that names some."""
+    twice = mapping.groupBy("id").agg(F.count(F.lit(1)).alias("n"), F.min("key").alias("a"), F.max("key").alias("b")).where("n > 1").limit(3).collect()
+    if twice:
+        raise ValueError(f"keys share an id: {[(r['a'], r['b']) for r in twice]}; use mode='dense'")
+    return mapping
+
+
 def relabel(edges: DataFrame, mapping: DataFrame) -> DataFrame:
     """Edges with ids replaced through (id, new_id)."""
     a, b = mapping.select(F.col("id").alias("src"), F.col("new_id").alias("s")), mapping.select(F.col("id").alias("dst"), F.col("new_id").alias("d"))

@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..plans.store import keep
+from ..plans.store import Scratch, keep
 
 
 def component_sizes(labels: DataFrame) -> DataFrame:
@@ -44,10 +44,31 @@ def degree_histogram(edges: DataFrame) -> DataFrame:
 
 
 def rank_members(labels: DataFrame, order: list[Column]) -> DataFrame:
-    """Rank, running count and quartile of members inside their component."""
-    w = Window.partitionBy("component").orderBy(*order)
+    """Rank, running sum of ids and quartile of members inside their component, for components of any size.
+
+    Members are sorted by (component, order) into range partitions, so that a giant
+    component lies in many. Inside a partition they are numbered by a window; what the
+    partitions before hold of the same component is added from one row per (component,
+    partition).
+    """
+    keys = [c.alias(f"_o{i}") for i, c in enumerate(order)]
+    names = ["component", *[f"_o{i}" for i in range(len(order))], "id"]
+    rows, _ = keep(labels.select("id", "component", *keys).repartitionByRange(*names).withColumn("_p", F.spark_partition_id()))
+    w = Window.partitionBy("component", "_p").orderBy(*names[1:])
     run = w.rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    return labels.select("id", "component", F.row_number().over(w).alias("rank"), F.sum("id").over(run).alias("running"), F.ntile(4).over(w).alias("quartile"))
+    inside = rows.select("id", "component", "_p", F.row_number().over(w).alias("_r"), F.sum("id").over(run).alias("_s"))
+    parts = rows.groupBy("component", "_p").agg(F.count(F.lit(1)).alias("_n"), F.sum("id").alias("_t"))
+    before = Window.partitionBy("component").orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)
+    whole = Window.partitionBy("component")
+    zero = F.lit(0).cast("long")
+    parts = parts.select("component", "_p", F.coalesce(F.sum("_n").over(before), zero).alias("_nb"), F.coalesce(F.sum("_t").over(before), zero).alias("_tb"), F.sum("_n").over(whole).alias("_all"))
+    out = inside.join(parts, ["component", "_p"])
+    rank = F.col("_r") + F.col("_nb")
+    # ntile(4): the first (n mod 4) quarters have one member more.
+    each, more = F.floor(F.col("_all") / 4), F.col("_all") % 4
+    long = more * (each + 1)
+    quartile = F.when(rank <= long, F.floor((rank - 1) / (each + 1))).otherwise(more + F.floor((rank - 1 - long) / F.greatest(each, F.lit(1)))) + 1
+    return out.select("id", "component", rank.cast("int").alias("rank"), (F.col("_s") + F.col("_tb")).alias("running"), quartile.cast("int").alias("quartile"))
 
 
 def validate_forest(state: DataFrame) -> DataFrame:
@@ -73,18 +94,57 @@ def same_partition(a: DataFrame, b: DataFrame) -> DataFrame:
     return twice("x").unionByName(twice("y"))
 
 
-def forest_height(state: DataFrame, limit: int = 64) -> int:
-    """Largest number of steps to a root."""
-    at, height = state.select("id", F.col("f").alias("p")), 0
-    parents = state.select(F.col("id").alias("_p"), F.col("f").alias("_f"))
-    moving = at.where("id <> p")
-    while height < limit and moving.limit(1).count():
-        height += 1
-        up = moving.join(parents, moving["p"] == parents["_p"]).where("_f <> p").select("id", F.col("_f").alias("p"))
-        moving, _ = keep(up)
-    return height
+def forest_height(state: DataFrame) -> int:
+    """Largest number of steps to a root, however large: ancestors double, then the last steps are found bit by bit.
+
+    A chain of h steps takes 2 log2(h) self-joins. A cycle is an error.
+    """
+    with Scratch() as scratch:
+        flat, seen = scratch.keep(state.select("id", F.col("f").alias("to")), n=F.count(F.lit(1)), moving=F.count_if(F.col("to") != F.col("id")))
+        if not seen["moving"]:
+            return 0
+        jumps, n = [flat], seen["n"]  # jumps[k]: the ancestor 2**k steps up; roots stay where they are
+        while True:
+            j = jumps[-1]
+            up, seen = scratch.keep(_jump(j, j), moved=F.count_if("moved"))
+            if not seen["moved"]:
+                break
+            jumps.append(up.select("id", "to"))
+            if 2 ** (len(jumps) - 2) > n:
+                raise ValueError("the parents form a cycle")
+        root = state.where("f = id").select(F.col("id").alias("_root"))
+        if not jumps[-1].join(root, jumps[-1]["to"] == root["_root"], "left_anti").isEmpty():
+            raise ValueError("the parents form a cycle")
+        # No vertex is 2**len(jumps) steps deep: take every jump that still leaves some vertex short of its root.
+        height, at = 0, state.select("id", F.col("id").alias("to"))
+        for k in reversed(range(len(jumps))):
+            ahead, _ = scratch.keep(_jump(at, jumps[k]).select("id", "to"))
+            if not ahead.join(root, ahead["to"] == root["_root"], "left_anti").isEmpty():
+                height, at = height + 2**k, ahead
+        return height + 1
+
+
+def _jump(at: DataFrame, by: DataFrame) -> DataFrame:
+    """(id, to, moved): each vertex goes on from where it is."""
+    step = by.select(F.col("id").alias("_p"), F.col("to").alias("_t"))
+    return at.join(step, at["to"] == step["_p"]).select("id", F.col("_t").alias("to"), (F.col("_t") != F.col("to")).alias("moved"))
 
 
 def roots(state: DataFrame) -> DataFrame:
     return state.where("f = id").select("id")
 
+
+def shuffled(spark: SparkSession, since: int = -1) -> tuple[int, int, int]:
+    """(records, bytes) written to shuffles by the stages after number ``since``, and the last stage's number.
+
+    The session remembers its last 1,000 stages or so: measure one run at a time.
+    """
+    sc = spark.sparkContext
+    none = sc._gateway.new_array(sc._jvm.double, 0)
+    stages = sc._jsc.sc().statusStore().stageList(None, False, False, none, sc._jvm.java.util.ArrayList())
+    records, size, last = 0, 0, since
+    for i in range(stages.size()):
+        stage = stages.apply(i)
+        if stage.stageId() > since:
+            records, size, last = records + stage.shuffleWriteRecords(), size + stage.shuffleWriteBytes(), max(last, stage.stageId())
+    return records, size, last

@@ -2,7 +2,8 @@
 
 A vector of the paper is a column; a product with the adjacency pattern on the
 (take second, minimum) semiring is a join on ``dst`` and a partial minimum by
-``src``; assign with minimum is an aggregation by target; extract is a self-join.
+``src``; assign with minimum is an aggregation by target (partial minima absorb hot
+targets before the shuffle); extract is a self-join.
 """
 
 from __future__ import annotations
@@ -10,24 +11,32 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: A changed-entries vector is broadcast up to this many rows (16 bytes each), else shuffled.
-BROADCAST_ROWS = 500_000
+from ..plans.layout import BROADCAST_ROWS, Layout
 
 
-def neighbour_min(edges: DataFrame, vector: DataFrame, value: str = "gf", *, rows: int | None = None) -> DataFrame:
-    """(src, mn): least value among the neighbours that the vector has an entry for.
+def at_edges(edges: DataFrame | Layout, vector: DataFrame, value: str, *more: str, rows: int | None = None) -> DataFrame:
+    """Edges with the vector's value at ``dst`` as ``_v``; laid-out edges stay where they are.
 
-    ``rows``: known number of entries; small ones are broadcast to the edges.
+    ``rows``: known number of entries; few are broadcast.
     """
-    entries = vector.select(F.col("id").alias("dst"), F.col(value).alias("_v"))
-    if rows is not None and rows <= BROADCAST_ROWS:
-        entries = F.broadcast(entries)
-    return edges.join(entries, "dst").groupBy("src").agg(F.min("_v").alias("mn"))
+    if isinstance(edges, Layout):
+        return edges.meet(vector, value, *more, rows=rows)
+    entries = vector.select(F.col("id").alias("dst"), F.col(value).alias("_v"), *more)
+    return edges.join(F.broadcast(entries) if rows is not None and rows <= BROADCAST_ROWS else entries, "dst")
 
 
-def grid_neighbour_min(edges: DataFrame, vector: DataFrame, value: str, rows: int, columns: int) -> DataFrame:
+def neighbour_min(edges: DataFrame | Layout, vector: DataFrame, value: str = "gf", *, rows: int | None = None) -> DataFrame:
+    """(src, mn): least value among the neighbours that the vector has an entry for."""
+    return at_edges(edges, vector, value, rows=rows).groupBy("src").agg(F.min("_v").alias("mn"))
+
+
+def grid_neighbour_min(edges: DataFrame | Layout, vector: DataFrame, value: str, rows: int, columns: int) -> DataFrame:
     """The dense product over a grid of blocks: entries are copied to ``rows`` row blocks
-    and partial minima come from ``columns`` column blocks, so a block talks to its row and column only."""
+    and partial minima come from ``columns`` column blocks, so a block talks to its row and column only.
+
+    An ablation: blocks are formed anew in every product, unlike the stored layout.
+    """
+    edges = edges.edges if isinstance(edges, Layout) else edges
     r, c = F.pmod(F.xxhash64("src"), F.lit(rows)).alias("r"), F.pmod(F.xxhash64("dst"), F.lit(columns)).alias("c")
     blocks = edges.select("src", "dst", r, c)
     entries = vector.select(F.col("id").alias("dst"), F.col(value).alias("_v"), F.pmod(F.xxhash64("id"), F.lit(columns)).alias("c"), F.explode(F.array(*[F.lit(i).cast("long") for i in range(rows)])).alias("r"))

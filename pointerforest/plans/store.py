@@ -1,12 +1,14 @@
 """Cutting lineage between rounds, and counters that ride along.
 
 Every round ends in one job: the new state is written as a table to the shared folder of
-``spark.checkpoint.dir`` (one of our own only where none is set), and the counters the
-loop decides on are observed on the same pass. A written table survives lost executors,
-and its true size is known to the planner; a checkpoint would carry the estimate of its
-plan along, which grows by a power with every self-join of every round. Edges are
-checkpointed instead, once: they keep their hash partitioning by ``dst``, so no round
-shuffles them.
+``spark.checkpoint.dir`` (one of our own only on a local master where none is set), and the
+counters the loop decides on are observed on the same pass. A written table survives lost
+executors, and its true size is known to the planner; a checkpoint would carry the estimate
+of its plan along, which grows by a power with every self-join of every round. Edges are
+written once, bucketed (``plans.layout``).
+
+What a run has written is deleted when the run that owns it ends, but for the tables its
+result reads (``Scratch``).
 """
 
 from __future__ import annotations
@@ -18,11 +20,13 @@ from pyspark.sql import Column, DataFrame, Observation, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder all executors share; a temporary one only where none is set (tests)."""
+    """The folder all executors share. A temporary one only where none is set and all runs in one process."""
     sc = spark.sparkContext
     where = spark.conf.get("spark.checkpoint.dir", None)
     if not where:
         if not sc.getCheckpointDir():
+            if not sc.master.startswith("local"):
+                raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
             sc.setCheckpointDir(tempfile.mkdtemp(prefix="pointerforest-"))
         return sc.getCheckpointDir().rstrip("/")
     if not sc.getCheckpointDir():
@@ -48,15 +52,37 @@ def keep(df: DataFrame, **counters: Column) -> tuple[DataFrame, dict[str, int]]:
     return out, {k: v or 0 for k, v in seen.get.items()}
 
 
-def partitioned(df: DataFrame, *keys: str) -> DataFrame:
-    """Checkpoint that keeps a hash partitioning."""
-    shared_folder(df.sparkSession)
-    return df.repartition(*keys).checkpoint(eager=True)
+def delete_folder(spark: SparkSession, path: str) -> None:
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
 
 def forget(df: DataFrame) -> None:
     """Delete a stored table that nothing reads any more."""
     if path := getattr(df, "stored_at", None):
-        jvm, jsc = df.sparkSession.sparkContext._jvm, df.sparkSession.sparkContext._jsc
-        p = jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(jsc.hadoopConfiguration()).delete(p, True)
+        delete_folder(df.sparkSession, path)
+
+
+class Scratch:
+    """Owner of the tables of one run: what is not kept for the result goes when the run ends."""
+
+    def __init__(self):
+        self._mine: list[DataFrame] = []
+
+    def __enter__(self) -> Scratch:
+        return self
+
+    def keep(self, df: DataFrame, **counters: Column) -> tuple[DataFrame, dict[str, int]]:
+        out, seen = keep(df, **counters)
+        self._mine.append(out)
+        return out, seen
+
+    def spare(self, df: DataFrame) -> DataFrame:
+        """The caller's result reads this one: it stays."""
+        self._mine = [x for x in self._mine if x is not df]
+        return df
+
+    def __exit__(self, *error) -> None:
+        for df in self._mine:
+            forget(df)
+        self._mine = []

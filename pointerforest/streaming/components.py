@@ -4,24 +4,34 @@ from __future__ import annotations
 
 import uuid
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupStateTimeout
 
-from ..operators.accelerated import connected_components
-from ..plans.store import keep, shared_folder
+from ..operators.accelerated import incremental
+from ..plans.store import delete_folder, shared_folder
+
+
+#: Rows of a file of a replayed table.
+FILE_ROWS = 1_000_000
 
 
 def as_stream(df: DataFrame, order: str, files: int, replay_first: bool = False) -> DataFrame:
-    """A table as a stream of ``files`` micro-batches in the given order; the first can come again last."""
+    """A table as a stream of ``files`` micro-batches in the given order; the first can come again last.
+
+    A batch is written as one file for every ``FILE_ROWS`` rows, and a trigger takes as many files.
+    """
     spark = df.sparkSession
     folder = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
     edges = df.select(F.percentile_approx(F.col(order).cast("timestamp").cast("double"), [i / files for i in range(1, files)], 100_000)).first()[0] or []
     t = F.col(order).cast("timestamp").cast("double")
     part = sum((F.when(t >= e, 1).otherwise(0) for e in edges), F.lit(0))
     marked = df.withColumn("_part", part)
+    each = max(1, df.count() // (files * FILE_ROWS))
     for k in [*range(files), *([0] if replay_first else [])]:
-        marked.where(F.col("_part") == k).drop("_part").coalesce(1).write.mode("append").parquet(folder)
-    return spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(folder)
+        marked.where(F.col("_part") == k).drop("_part").repartition(each).write.mode("append").parquet(folder)
+    return spark.readStream.schema(df.schema).option("maxFilesPerTrigger", each).parquet(folder)
 
 
 def run_now(stream: DataFrame, mode: str, name: str) -> DataFrame:
@@ -33,22 +43,98 @@ def run_now(stream: DataFrame, mode: str, name: str) -> DataFrame:
     return spark.table(table)
 
 
-def stream_components(edge_stream: DataFrame) -> DataFrame:
-    """Labels after all micro-batches. Each batch starts warm from the labels of the one before:
-    old edges already agree, so what moves starts at the new ones."""
+class LabelStore:
+    """Labels (id, component) after each micro-batch, one folder a version, in shared storage.
+
+    A version counts once its folder is marked as written in full; a batch that comes
+    again after a restart starts from the version before it and writes its own anew.
+    """
+
+    def __init__(self, spark: SparkSession, path: str):
+        self.spark, self.path = spark, path.rstrip("/")
+
+    def versions(self) -> list[int]:
+        jvm, conf = self.spark.sparkContext._jvm, self.spark.sparkContext._jsc.hadoopConfiguration()
+        p = jvm.org.apache.hadoop.fs.Path(self.path)
+        fs = p.getFileSystem(conf)
+        if not fs.exists(p):
+            return []
+        names = [s.getPath().getName() for s in fs.listStatus(p)]
+        return sorted(int(n[2:]) for n in names if n.startswith("v-") and fs.exists(jvm.org.apache.hadoop.fs.Path(f"{self.path}/{n}/_SUCCESS")))
+
+    def read(self, before: int | None = None) -> DataFrame:
+        """The newest labels, or those before a version; no rows if there are none."""
+        some = [v for v in self.versions() if before is None or v < before]
+        if not some:
+            return self.spark.createDataFrame([], "id long, component long")
+        return self.spark.read.schema("id long, component long").parquet(f"{self.path}/v-{some[-1]}")
+
+    def write(self, labels: DataFrame, version: int, keep_last: int = 2) -> None:
+        labels.write.mode("overwrite").parquet(f"{self.path}/v-{version}")
+        for old in [v for v in self.versions() if v < version][: -keep_last or None]:
+            delete_folder(self.spark, f"{self.path}/v-{old}")
+
+
+def stream_components(edge_stream: DataFrame, store: str | None = None, progress: str | None = None) -> DataFrame:
+    """Labels after all micro-batches that are there.
+
+    A batch shrinks the components known so far to points and solves its own edges between
+    them; edges of earlier batches are neither kept nor read again. ``store`` and
+    ``progress``: folders to go on from after a restart (new ones by default).
+    """
     spark: SparkSession = edge_stream.sparkSession
-    state: dict[str, DataFrame | None] = {"edges": None, "labels": None}
+    labels = LabelStore(spark, store or f"{shared_folder(spark)}/labels-{uuid.uuid4().hex}")
 
-    def one(batch: DataFrame, _: int) -> None:
-        new, _ = keep(batch.select("src", "dst").distinct())
-        edges = new if state["edges"] is None else state["edges"].unionByName(new)
-        old = state["labels"]
-        labels = connected_components(edges, init=old).labels
-        state["edges"], state["labels"] = edges, labels
+    def one(batch: DataFrame, k: int) -> None:
+        labels.write(incremental(labels.read(before=k), batch.select("src", "dst")), k)
 
-    where = f"{shared_folder(spark)}/progress-{uuid.uuid4().hex}"
+    where = progress or f"{shared_folder(spark)}/progress-{uuid.uuid4().hex}"
     edge_stream.writeStream.foreachBatch(one).option("checkpointLocation", where).trigger(availableNow=True).start().awaitTermination()
-    return state["labels"]
+    return labels.read()
+
+
+def merged(parent: dict[int, int], a: int, b: int) -> None:
+    """Joins the sets of ``a`` and ``b`` below the smaller root."""
+
+    def find(x: int) -> int:
+        parent.setdefault(x, x)
+        while parent[x] != x:
+            parent[x] = parent[parent[x]]
+            x = parent[x]
+        return x
+
+    a, b = find(a), find(b)
+    parent[max(a, b)] = min(a, b)
+
+
+def stream_keyed_unionfind(edges: DataFrame, key: str) -> DataFrame:
+    """(key, version, id, component) of one small graph per key, kept in the stream's state.
+
+    Each batch that has edges of a key gives all its labels again under the next version.
+    For graphs that fit a row: the state of a key is two lists of ids.
+    """
+
+    def update(k, frames, state):
+        ids, up, version = state.get if state.exists else ([], [], 0)
+        parent = dict(zip(ids, up, strict=True))
+        for frame in frames:
+            for a, b in zip(frame["src"].tolist(), frame["dst"].tolist(), strict=True):
+                merged(parent, a, b)
+        for x in list(parent):
+            merged(parent, x, x)
+        roots = {}
+        for x in sorted(parent):  # parents are smaller, so they come first
+            roots[x] = x if parent[x] == x else roots[parent[x]]
+        state.update((list(roots), list(roots.values()), version + 1))
+        yield pd.DataFrame({"key": k[0], "version": version + 1, "id": list(roots), "component": list(roots.values())})
+
+    rows = edges.where("src IS NOT NULL AND dst IS NOT NULL").select(F.col(key).cast("long").alias("key"), "src", "dst")
+    return rows.groupBy("key").applyInPandasWithState(update, "key long, version long, id long, component long", "ids array<long>, up array<long>, version long", "update", GroupStateTimeout.NoTimeout)
+
+
+def newest(versions: DataFrame) -> DataFrame:
+    """The labels of each key's last version, which names every vertex of the key again."""
+    return versions.groupBy("key", "id").agg(F.max_by("component", "version").alias("component"))
 
 
 def windowed_counts(events: DataFrame, width: str, slide: str | None = None, watermark: str | None = None) -> DataFrame:

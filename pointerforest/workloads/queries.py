@@ -68,6 +68,10 @@ for _name, _key, _options in [
     ("cc_labelprop_chain", "eventchain", {"method": "label_propagation"}),
     ("cc_bfs_nation", "nationregion", {"method": "bfs"}),
     ("cc_hybrid_orderpart", "orderpart", {"method": "hybrid"}),
+    ("cc_level1_tie_max", "orderpart46", {"level": 1, "tie": "max"}),
+    ("cc_level1_tie_hash", "orderpart46", {"level": 1, "tie": "hash"}),
+    ("cc_level2_tie_hash", "orderpart46", {"level": 2, "tie": "hash"}),
+    ("cc_hub_layout", "userk", {"hub_edges": 16}),
     ("cc_hookdepth1", "orderpart46", {"hook_depth": 1}),
     ("cc_hookdepth3", "orderpart46", {"hook_depth": 3}),
     ("cc_extra_shortcut", "orderpart46", {"extra_shortcut": True, "stop": "f"}),
@@ -97,19 +101,19 @@ def incremental(spark, d):
     """Old components shrink to points; only the new edges between them are solved, then the labels compose."""
     first, edges, vertices = _halves(spark, d)
     old = A.connected_components(first, vertices).labels
-    top = A.connected_components(E.contract(edges.where("src % 4 <> 0"), old)).labels
-    joined = old.join(top.select(F.col("id").alias("component"), F.col("component").alias("c")), "component", "left")
-    return joined.select("id", F.coalesce("c", "component").alias("component"))
+    return A.incremental(old, edges.where("src % 4 <> 0"), vertices)
 
 
-_GROUP_ROWS = "SELECT DISTINCT CAST(c_nationkey AS BIGINT) AS grp, o_custkey * 2 AS src, l_partkey * 2 + 1 AS dst FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN customer ON c_custkey = o_custkey WHERE l_quantity >= 49"
+_GROUP_ROWS = "SELECT DISTINCT CAST(n_regionkey AS BIGINT) AS grp, o_custkey * 2 AS src, l_partkey * 2 + 1 AS dst FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN customer ON c_custkey = o_custkey JOIN nation ON n_nationkey = c_nationkey"
 
 
 @add("cc_by_group", f"WITH RECURSIVE r AS MATERIALIZED ({_GROUP_ROWS}), {O.base('SELECT grp * 1000000000 + src AS src, grp * 1000000000 + dst AS dst FROM r', 'SELECT CAST(0 AS BIGINT) AS id WHERE false')}, {O._CC} SELECT CAST(id // 1000000000 AS BIGINT) AS grp, id % 1000000000 AS id, comp % 1000000000 AS component FROM cc")
 def by_group(spark, d):
-    lines = read(spark, d, "lineitem").where("l_quantity >= 49").select("l_orderkey", "l_partkey")
-    orders = read(spark, d, "orders").select("o_orderkey", "o_custkey").join(read(spark, d, "customer").select("c_custkey", "c_nationkey"), F.col("c_custkey") == F.col("o_custkey"))
-    rows = orders.join(lines, F.col("o_orderkey") == F.col("l_orderkey")).selectExpr("CAST(c_nationkey AS BIGINT) AS grp", "o_custkey * 2 AS src", "l_partkey * 2 + 1 AS dst")
+    """What customers of one region bought, one graph a region."""
+    lines = read(spark, d, "lineitem").select("l_orderkey", "l_partkey")
+    people = read(spark, d, "customer").join(read(spark, d, "nation"), F.col("n_nationkey") == F.col("c_nationkey")).select("c_custkey", "n_regionkey")
+    orders = read(spark, d, "orders").select("o_orderkey", "o_custkey").join(people, F.col("c_custkey") == F.col("o_custkey"))
+    rows = orders.join(lines, F.col("o_orderkey") == F.col("l_orderkey")).selectExpr("CAST(n_regionkey AS BIGINT) AS grp", "o_custkey * 2 AS src", "l_partkey * 2 + 1 AS dst")
     return A.components_by_group(rows, "grp", 1_000_000_000)
 
 
@@ -357,7 +361,7 @@ def op_aggressive(spark, d):
 
 # Graph statistics and reports.
 _STATS = "SELECT '{0}' AS graph, (SELECT count(*) FROM v) AS n, (SELECT count(*) FROM e) AS directed_edges, round((SELECT count(*) FROM e) / (SELECT count(*) FROM v), 6) AS density, count(*) AS components, max(n) AS largest, count(*) FILTER (n = 1) AS isolated FROM (SELECT comp, count(*) AS n FROM cc GROUP BY comp)"
-_STAT_GRAPHS = ("orderpart46", "custorder", "pagehref", "cosine4", "turns", "nationregion")
+_STAT_GRAPHS = tuple(GRAPHS)
 
 
 @add("graph_stats", " UNION ALL ".join(f"SELECT * FROM ({O.labelled(GRAPHS[k].edge_sql, GRAPHS[k].vertex_sql, _STATS.format(k))})" for k in _STAT_GRAPHS))
@@ -533,18 +537,19 @@ for _name, _word in [("edges_union", "UNION"), ("edges_intersect", "INTERSECT"),
         lambda spark, d, w=_word: {"UNION": lambda a, b: a.union(b).distinct(), "INTERSECT": DataFrame.intersect, "EXCEPT": DataFrame.subtract}[w](GRAPHS["orderpart46"].edges(spark, d), GRAPHS["orderpart50"].edges(spark, d))
     )
 
-_DOC_PAIRS = "SELECT a.doc_id AS src, b.doc_id AS dst FROM documents a JOIN documents b ON a.text = b.text"
+_DOC_STARS = "SELECT doc_id AS src, min(doc_id) OVER (PARTITION BY text) AS dst FROM documents"
 
 
-def _doc_pairs(spark, d):
-    t = read(spark, d, "documents")
-    return t.select(F.col("doc_id").alias("src"), "text").join(t.select(F.col("doc_id").alias("dst"), "text"), "text").select("src", "dst")
+def _doc_stars(spark, d):
+    """Every document to the smallest with the same text, itself included (never all pairs of copies)."""
+    rows = read(spark, d, "documents").select(F.col("doc_id").alias("src"), F.sha2("text", 256).alias("t"))
+    return rows.join(rows.groupBy("t").agg(F.min("src").alias("dst")), "t").select("src", "dst")
 
 
-add("edges_symmetrize", f"SELECT DISTINCT src, dst FROM ({_DOC_PAIRS}) WHERE src <> dst")(lambda s, d: E.symmetrize(_doc_pairs(s, d).where("src <= dst")))
-add("edges_canonical", f"SELECT DISTINCT least(src, dst) AS src, greatest(src, dst) AS dst FROM ({_DOC_PAIRS}) WHERE src <> dst")(lambda s, d: E.canonical(_doc_pairs(s, d)))
-add("edges_selfloop_drop", f"SELECT src, dst FROM ({_DOC_PAIRS}) WHERE src <> dst")(lambda s, d: E.drop_bad(_doc_pairs(s, d)))
-add("edges_dedup", f"SELECT DISTINCT src, dst FROM ({_DOC_PAIRS})")(lambda s, d: _doc_pairs(s, d).distinct())
+add("edges_symmetrize", f"SELECT src, dst FROM ({_DOC_STARS}) WHERE src <> dst UNION SELECT dst, src FROM ({_DOC_STARS}) WHERE src <> dst")(lambda s, d: E.symmetrize(_doc_stars(s, d)))
+add("edges_canonical", f"SELECT DISTINCT least(src, dst) AS src, greatest(src, dst) AS dst FROM ({_DOC_STARS}) WHERE src <> dst")(lambda s, d: E.canonical(_doc_stars(s, d)))
+add("edges_selfloop_drop", f"SELECT src, dst FROM ({_DOC_STARS}) WHERE src <> dst")(lambda s, d: E.drop_bad(_doc_stars(s, d)))
+add("edges_dedup", f"SELECT DISTINCT src, dst FROM ({_DOC_STARS})")(lambda s, d: _doc_stars(s, d).unionByName(_doc_stars(s, d)).distinct())
 add("edges_range_join", "SELECT a.event_id AS src, b.event_id AS dst FROM events a JOIN events b ON a.user_id = b.user_id AND abs(date_diff('second', date_trunc('second', a.ts), date_trunc('second', b.ts))) <= 1800 AND a.event_id < b.event_id")(
     lambda s, d: E.near_in_time(read(s, d, "events"), "event_id", "ts", 1800, ["user_id"])
 )
@@ -554,6 +559,12 @@ add("edges_asof", "SELECT a.event_id AS src, b.event_id AS dst FROM (SELECT * FR
 add("index_vertices_dense", "SELECT url AS key, CAST(row_number() OVER (ORDER BY url) - 1 AS BIGINT) AS id FROM (SELECT DISTINCT url FROM pages)")(lambda s, d: E.index_vertices(read(s, d, "pages"), "url"))
 
 
+@add("index_vertices_hash", "SELECT count(*) AS keys, count(*) AS ids FROM (SELECT DISTINCT url FROM pages)")
+def hash_ids(spark, d):
+    """Keys and the ids they get by hash: as many of each, or the operator stops."""
+    return E.index_vertices(read(spark, d, "pages"), "url", "hash").agg(F.count("key").alias("keys"), F.countDistinct("id").alias("ids"))
+
+
 @add("edges_cosine_banded", SQL["edges_cosine"])
 def cosine_banded(spark, d):
     """The form for larger tables: bands of vectors are compared whole, band against band."""
@@ -596,6 +607,17 @@ def stream_incremental(spark, d):
     return T.stream_components(edges)
 
 
+_KEYED = "SELECT DISTINCT user_id * 1000 + k // 10 AS src, user_id * 1000 + 100 + k % 10 AS dst FROM (SELECT user_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k FROM events) WHERE k IS NOT NULL"
+
+
+@add("stream_state_unionfind", O.labelled(_KEYED, "SELECT CAST(0 AS BIGINT) AS id WHERE false", "SELECT CAST(id // 1000 AS BIGINT) AS key, CAST(id % 1000 AS BIGINT) AS id, CAST(comp % 1000 AS BIGINT) AS component FROM cc"))
+def stream_state_unionfind(spark, d):
+    """One small graph a user, in the state of the stream: tens against ones of the values seen."""
+    k = F.get_json_object("props", "$.k").cast("long")
+    rows = T.as_stream(read(spark, d, "events"), "ts", 3).select("user_id", F.floor(k / 10).cast("long").alias("src"), (k % 10 + 100).alias("dst"))
+    return T.newest(T.run_now(T.stream_keyed_unionfind(rows, "user_id"), "update", "keyed"))
+
+
 def _seconds(df: DataFrame) -> DataFrame:
     return df.withColumn("start", F.unix_timestamp("start"))
 
@@ -623,10 +645,10 @@ def late(spark, d):
 
 
 # Functions, sources and sinks.
-@add("udf_edge_weight", "SELECT l_orderkey * 2 AS src, l_partkey * 2 + 1 AS dst, round(sum(l_quantity), 6) AS weight FROM lineitem GROUP BY ALL")
+@add("udf_edge_weight", "SELECT l_orderkey * 2 AS src, l_partkey * 2 + 1 AS dst, round(sum(l_quantity * (1 - l_discount)), 6) AS weight FROM lineitem GROUP BY ALL")
 def edge_weight(spark, d):
-    rows = read(spark, d, "lineitem").select((F.col("l_orderkey") * 2).alias("src"), (F.col("l_partkey") * 2 + 1).alias("dst"), "l_quantity")
-    return rows.groupBy("src", "dst").agg(F.round(F.sum("l_quantity"), 6).alias("weight"))
+    rows = read(spark, d, "lineitem").select((F.col("l_orderkey") * 2).alias("src"), (F.col("l_partkey") * 2 + 1).alias("dst"), udfs.weight_pd("l_quantity", "l_discount").alias("w"))
+    return rows.groupBy("src", "dst").agg(F.round(F.sum("w"), 6).alias("weight"))
 
 
 @add("pandas_udf_cosine", "SELECT a.vec_id AS src, b.vec_id AS dst, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) AS cosine FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1")
@@ -699,7 +721,7 @@ def json_edges(spark, d):
 def text_edges(spark, d):
     path = _folder(spark, "edges")
     rows = GRAPHS["nationregion"].edges(spark, d).select(F.format_string("%d %d", "src", "dst").alias("value"))
-    rows.unionByName(spark.createDataFrame([("% a comment",), ("1000 1000 25",)], "value string")).coalesce(1).write.text(path)
+    spark.createDataFrame([("% a comment",), ("1000 1000 25",)], "value string").unionByName(rows).coalesce(1).write.text(path)
     return S.read_edges(spark, path, "coordinate")
 
 
@@ -739,26 +761,4 @@ add("sql_script_cc", O.cc("nationregion"))(_script("nationregion"))
 add("sql_script_cc_orderpart46", O.cc(_G3))(_script(_G3))
 
 
-@add("runtime_breakdown")
-def breakdown(spark, d):
-    """Seconds of product, hooking and grandparent step of each round, each materialised by itself."""
-    import time
-
-    edges, vertices = graph(spark, d, _G3)
-    edges, ids, n = A.prepare(edges, vertices)
-    state, _ = keep(A.start_state(ids, None, 0).withColumn("gf_prev", F.lit(-1).cast("long")))
-    o, out, changed = A.Options(), [], n
-    for k in range(1, 50):
-        t = [time.time()]
-        product, _ = keep(A.product_of(edges, state, o, k == 1, changed, n, 0)[0])
-        t.append(time.time())
-        hooked, _ = keep(A.round_of_minima(product, state, o))
-        t.append(time.time())
-        state, seen = keep(V.gather(hooked, "f", "gf"), c=F.count_if(F.col("gf") != F.col("gf_prev")))
-        t.append(time.time())
-        changed = seen["c"]
-        out.append((k, changed, *(b - a for a, b in zip(t, t[1:], strict=False))))
-        if not changed:
-            break
-    return spark.createDataFrame(out, "iteration int, changed_gf long, product_s double, hooking_s double, grandparent_s double")
-
+from . import experiments  # noqa: E402, F401  (registers its queries)

@@ -8,7 +8,7 @@ from conftest import SF, rows_of
 from pointerforest.sources.edges import read_edges
 from pointerforest.workloads.queries import QUERIES, SQL, mixed_path
 
-SLOW = {"iterations_ladder", "iteration_reduction", "cc_labelprop_chain", "order_permuted_vs_natural", "cc_shb_noprune", "cc_svfull_orderpart46", "cc_shb_orderpart46", "density_ladder", "graph_stats", "methods_agree", "cc_by_group", "cc_svfull_lastshortcut", "cc_bfs_nation", "cc_hybrid_orderpart", "stream_incremental_cc", "stream_watermark_late"}
+SLOW = {"cc_replicated", "cc_level1_tie_max", "cc_level1_tie_hash", "stream_state_unionfind", "cc_incremental_two_batches", "cc_warm_start", "iterations_ladder", "iteration_reduction", "cc_labelprop_chain", "order_permuted_vs_natural", "cc_shb_noprune", "cc_svfull_orderpart46", "cc_shb_orderpart46", "density_ladder", "graph_stats", "methods_agree", "cc_by_group", "cc_svfull_lastshortcut", "cc_bfs_nation", "cc_hybrid_orderpart", "stream_incremental_cc", "stream_watermark_late"}
 QUICK = sorted(n for n in SQL if n not in SLOW and (not n.startswith(("cc_accel", "cc_level", "cc_product", "cc_gather")) or n in ("cc_accel_orderpart46", "cc_accel_pagehref", "cc_level2_orderpart46")))
 
 
