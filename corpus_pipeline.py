@@ -13,7 +13,6 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from pointerforest.llm import decontamination, near_dedup, packing, secrets, toxicity
 from pointerforest.plans.store import shared_folder
@@ -24,12 +23,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The smallest id of each class stays, once; documents without an id have no class and stay."""
-    kept = near_dedup.near_duplicates(docs).where("kept AND doc_id IS NOT NULL").select(F.col("doc_id").alias("_id")).distinct()
-    known = docs.join(kept, F.col("doc_id") == F.col("_id"), "left_semi")
-    first = F.row_number().over(Window.partitionBy("doc_id").orderBy("text"))
-    known = known.withColumn("_first", first).where("_first = 1").drop("_first")
-    return known.unionByName(docs.where("doc_id IS NULL"))
+    """One row of each group of near-duplicate texts stays, of the smallest id; documents without an id or words stay."""
+    return near_dedup.drop_near_duplicates(docs)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
