@@ -32,12 +32,17 @@ MAIL_DDL = "to int, sender int, payload binary"
 class Chunked:
     """Documents by chunk, and rounds of mail between chunks and buckets."""
 
-    def __init__(self, docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", chunk_bytes: int = CHUNK_BYTES, extra: list | None = None, squeeze: bool = False):
-        """``squeeze``: texts travel compressed one by one, which takes time and saves disk."""
+    def __init__(self, docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", chunk_bytes: int = CHUNK_BYTES, extra: list | None = None, squeeze: bool = False, spread_nulls: bool = False):
+        """``squeeze``: texts travel compressed one by one, which takes time and saves disk.
+        ``spread_nulls``: rows without an id are dealt by their text; otherwise they share a chunk, as one document's rows do.
+        """
         self.count = self.buckets = max(LEAST, -(-text_bytes(docs, text_col) // chunk_bytes))
-        key = F.pmod(F.xxhash64(F.col(id_col)), F.lit(self.count)).cast("int")
+        home = F.xxhash64(F.col(id_col))
+        if spread_nulls:
+            home = F.when(F.col(id_col).isNull(), F.xxhash64(F.col(text_col))).otherwise(home)
+        key = F.pmod(home, F.lit(self.count)).cast("int")
         rows = docs.select(key.alias("chunk"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), *(extra or []))
-        self.parts = max(16, self.count // 3)
+        self.parts = max(16, self.count // 3)  # tasks grow with the text, whatever the session's shuffle partitions are
         self.squeezed = squeeze
         if squeeze:
             rows = squeezed(rows)
@@ -47,6 +52,25 @@ class Chunked:
         """First questions, from the documents alone."""
         return self.rows.groupBy("chunk").applyInArrow(_one(emit, self.squeezed), MAIL_DDL)
 
+    def replies(self, asked: DataFrame, resolve: Callable[[list[bytes]], list[bytes]]) -> DataFrame:
+        """Each bucket reads what all chunks sent and answers each of them.
+
+        Mail to a negative number is a chunk's note to itself and passes through.
+        """
+
+        def run(key, table):
+            table = table.combine_chunks()
+            bucket = key[0].as_py()
+            sender, payload = table["sender"], table["payload"].to_pylist()
+            out = payload if bucket < 0 else resolve(payload)
+            return pa.table([sender.combine_chunks(), pa.array([bucket] * len(out), pa.int32()), pa.array(out, pa.binary())], schema=MAIL)
+
+        return self.dealt(asked).applyInArrow(run, MAIL_DDL)
+
+    def dealt(self, asked: DataFrame):
+        """Mail by its bucket, a few buckets a task."""
+        return asked.repartition(self.parts, "to").groupBy("to")
+
     def then(self, answers: DataFrame, step: Callable[[pa.Table, dict], pa.Table], ddl: str = MAIL_DDL) -> DataFrame:
         """Documents of a chunk together with the answers it got."""
         return self.rows.groupBy("chunk").cogroup(answers.groupBy("to")).applyInArrow(_both(step, self.squeezed), ddl)
@@ -108,22 +132,6 @@ def mailbox(table: pa.Table) -> dict[int, bytes]:
     return dict(zip(table["sender"].to_pylist(), table["payload"].to_pylist(), strict=True))
 
 
-def replies(buckets: DataFrame, resolve: Callable[[list[bytes]], list[bytes]]) -> DataFrame:
-    """Each bucket reads what all chunks sent and answers each of them.
-
-    Mail to a negative number is a chunk's note to itself and passes through.
-    """
-
-    def run(key, table):
-        table = table.combine_chunks()
-        bucket = key[0].as_py()
-        sender, payload = table["sender"], table["payload"].to_pylist()
-        out = payload if bucket < 0 else resolve(payload)
-        return pa.table([sender.combine_chunks(), pa.array([bucket] * len(out), pa.int32()), pa.array(out, pa.binary())], schema=MAIL)
-
-    return buckets.groupBy("to").applyInArrow(run, MAIL_DDL)
-
-
 def note_to_self(chunk: int) -> int:
     return -1 - chunk
 

@@ -11,7 +11,12 @@ Everything is counted over all training texts. Chunks of documents send each dis
 restaurants and samples them; the chunk passes the tables of its own words up to the words'
 buckets, which seat the parent; then every chunk scores its own texts. What a bucket cannot see
 while it seats a child, the parent's probability of a word, it takes from the number of its
-own contexts that the word follows.
+own contexts that the word follows. Buckets hold the same number of bytes whatever the
+size of the corpus, so that estimate gets no worse as it grows; it moves scores a little
+from one number of buckets to another.
+
+Of the customers of one word in one restaurant the first ``SINGLY`` are seated one by one, the
+rest in steps that grow by an eighth, with a Poisson number of new tables each.
 
 Words of a context are told apart by 32 bits inside the context (and contexts by 32 bits inside
 their bucket); a single word's count is kept by 64 bits.
@@ -222,8 +227,18 @@ def seat_words(payloads: list[bytes], prior: Prior, buckets: int) -> tuple[list[
             kept += roots / prior.kept
     own = np.maximum(customers - prior.parent_discount * kept, 0)
     out = np.split(np.stack([count, own], axis=1)[at], np.cumsum([len(p) for p in parts])[:-1])
-    replies = [x[:, 0].astype("<u4").tobytes() + x[:, 1].astype("<f4").tobytes() for x in out]
-    return replies, (float(count.sum()), float((count > 0).sum()), float(customers.sum()), float(kept.sum()))
+    return [pack_counts(x[:, 0], x[:, 1]) for x in out], (float(count.sum()), float((count > 0).sum()), float(customers.sum()), float(kept.sum()))
+
+
+def pack_counts(count: np.ndarray, own: np.ndarray) -> bytes:
+    """Counts in 4 bytes each, or in 8 where one needs them (sums are exact up to 2**53), then the own parts."""
+    kind = "<u4" if not len(count) or count.max() < 1 << 32 else "<u8"
+    return count.astype(kind).tobytes() + own.astype("<f4").tobytes()
+
+
+def read_counts(raw: bytes, n: int) -> tuple[np.ndarray, np.ndarray]:
+    size = len(raw) // n - 4
+    return np.frombuffer(raw, f"<u{size}", n).astype(float), np.frombuffer(raw, "<f4", n, size * n)
 
 
 def score_documents(docs: DataFrame, *, prior: Prior | None = None, held_out: str = "coalesce(crc32(cast({} AS string)) % 10 = 0, true)", id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -232,7 +247,7 @@ def score_documents(docs: DataFrame, *, prior: Prior | None = None, held_out: st
     ``held_out``: condition on the id of texts that nothing is learned from.
     """
     prior = prior or Prior()
-    chunked = Chunked(docs, id_col=id_col, text_col=text_col, chunk_bytes=8 << 20, squeeze=True, extra=[F.expr(held_out.format(f"`{id_col}`")).alias("held_out")])
+    chunked = Chunked(docs, id_col=id_col, text_col=text_col, chunk_bytes=8 << 20, squeeze=True, spread_nulls=True, extra=[F.expr(held_out.format(f"`{id_col}`")).alias("held_out")])
     buckets = chunked.buckets
 
     def first(table: pa.Table) -> pa.Table:
@@ -264,8 +279,8 @@ def score_documents(docs: DataFrame, *, prior: Prior | None = None, held_out: st
         cols += [pa.array([None] * n + [t], pa.float64()) for t in total]
         return pa.table(cols, names=["to", "sender", "payload", *sums])
 
-    seated = chunked.ask(first).groupBy("to").applyInArrow(contexts, MAIL_DDL)
-    counted = chunked.then(seated, second).groupBy("to").applyInArrow(words, MAIL_DDL + "".join(f", {s} double" for s in sums))
+    seated = chunked.dealt(chunked.ask(first)).applyInArrow(contexts, MAIL_DDL)
+    counted = chunked.dealt(chunked.then(seated, second)).applyInArrow(words, MAIL_DDL + "".join(f", {s} double" for s in sums))
     totals = counted.where(F.col("to") == -1).agg(*[F.coalesce(F.sum(s), F.lit(0.0)).alias(s) for s in sums])
     totals = totals.select(F.explode(F.sequence(F.lit(0), F.lit(chunked.count - 1))).alias("to"), F.lit(-2).alias("sender"), F.concat_ws(",", *[F.col(s).cast("string") for s in sums]).cast("binary").alias("payload"))
     answers = seated.unionByName(counted.where(F.col("to") >= 0).select("to", "sender", "payload")).unionByName(totals)
@@ -281,8 +296,7 @@ def score_documents(docs: DataFrame, *, prior: Prior | None = None, held_out: st
         w = Words(p.token, buckets)
         count, own = np.zeros(len(w.hashes)), np.zeros(len(w.hashes))
         for bucket, i, j in zip(w.bucket.tolist(), w.a, w.b, strict=True):
-            raw = box[buckets + bucket]
-            count[i:j], own[i:j] = np.frombuffer(raw, "<u4", j - i), np.frombuffer(raw, "<f4", j - i, 4 * (j - i))
+            count[i:j], own[i:j] = read_counts(box[buckets + bucket], j - i)
         single = (own + (prior.parent_strength + prior.parent_discount * roots) / (v + 1)) / (prior.parent_strength + customers)
         base = np.log10((count + 0.1) / (n + 0.1 * (v + 1)))
         score = np.log10(a[p.which] + g[p.which] * single[w.which])

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontamination, language_model, near_dedup, packing, quality_rules, secrets, substring_dedup, suffix_dedup, token_counts, toxicity
+from . import decontamination, language_model, near_dedup, oracles, packing, quality_rules, secrets, substring_dedup, suffix_dedup, token_counts, toxicity
 
 
 def queries() -> dict:
@@ -21,4 +21,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_benchmark_decontamination": decontamination.OP2_SQL, "op6_minhash_near_dedup": near_dedup.OP6_SQL}
+    return {"op2_benchmark_decontamination": decontamination.OP2_SQL, "op5_substring_dedup": oracles.OP5_SQL, "op6_minhash_near_dedup": near_dedup.OP6_SQL, "op7_suffix_array_dedup": oracles.OP7_SQL}

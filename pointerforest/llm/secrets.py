@@ -20,11 +20,12 @@ Texts are read whole, whatever their length.
 
 from __future__ import annotations
 
-import hashlib
 import re
+from bisect import bisect_left
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import lru_cache
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -96,8 +97,19 @@ class Tokens:
 _words: list[set[bytes]] = []
 
 
-def tokens(data: np.ndarray, offsets: np.ndarray) -> Tokens:
-    """Tokens of all texts with their features; lines are numbered across texts."""
+def file_shares(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Share of digits and of code marks in each text."""
+    bytes_ = np.maximum(np.diff(offsets), 1)
+    share = lambda t: ((c := np.append(0, np.cumsum(t[data], dtype=np.int64)))[offsets[1:]] - c[offsets[:-1]]) / bytes_
+    return share(_DIGIT), share(_CODE)
+
+
+def tokens(data: np.ndarray, offsets: np.ndarray, shares: tuple[np.ndarray, np.ndarray] | None = None) -> Tokens:
+    """Tokens of all texts with their features; lines are numbered across texts.
+
+    ``shares``: of the whole files, where these texts are parts of them.
+    """
+    digits, code = shares or file_shares(data, offsets)
     n = len(data)
     inside = _TOKEN[data]
     edge = np.zeros(n + 1, bool)
@@ -140,11 +152,9 @@ def tokens(data: np.ndarray, offsets: np.ndarray) -> Tokens:
     word2 = previous(word1)
     assign = gap(_ASSIGNS)
     text = np.searchsorted(offsets, start, "right") - 1
-    bytes_ = np.maximum(np.diff(offsets), 1)
-    share = lambda t: ((c := np.append(0, np.cumsum(t[data], dtype=np.int64)))[offsets[1:]] - c[offsets[:-1]]) / bytes_
     columns = [size >= k for k in LENGTHS] + [
         digit > 0, lower > 0, upper > 0, join > 0, high > 0, (lower + upper + high) == 0, (size >= 16) & (total(_NOT_HEX) == 0) & (digit > 0), odd, digit * 5 >= size, changes * 5 >= size, changes * 5 >= 2 * size, prefix, credential,
-        word1, word2, assign, gap(_QUOTES), _QUOTES[data[right]] if n else first, first, word1 & assign, (word1 | word2) & (size >= 12) & (digit > 0), (data[left] == 46) & ~first if n else first, (data[right] == 46) & ~last if n else first, previous(odd), following(odd), (share(_DIGIT) >= 0.03)[text], (share(_CODE) >= 0.02)[text],
+        word1, word2, assign, gap(_QUOTES), _QUOTES[data[right]] if n else first, first, word1 & assign, (word1 | word2) & (size >= 12) & (digit > 0), (data[left] == 46) & ~first if n else first, (data[right] == 46) & ~last if n else first, previous(odd), following(odd), (digits >= 0.03)[text], (code >= 0.02)[text],
     ]
     return Tokens(start, end, line, np.stack(columns, axis=1).astype(np.float32) if len(start) else np.zeros((0, len(NAMES)), np.float32))
 
@@ -314,21 +324,59 @@ def trained_field(lines: int = 1600, rounds: int = 120, seed: int = 7) -> Field:
     return Field(params[0].astype(np.float32), params[1].astype(np.float32), params[2] + mask)
 
 
+#: Bytes of one text whose tokens are held at a time (or one longer line).
+LONG = 1 << 20
+
+
 def field_spans(field: Field, data: np.ndarray, offsets: np.ndarray) -> dict[int, list[tuple[int, int]]]:
     """Text number -> (start, end) in code points of what the field tags."""
+    if len(offsets) == 2 and len(data) > LONG:
+        return {0: _long_spans(field, data)}
     out: dict[int, list[tuple[int, int]]] = {}
     found = decode(field, tokens(data, offsets))
     if found:
         points = np.append(0, np.cumsum((data & 0xC0) != 0x80))
         for a, b in found:
-            while b < len(data) and data[b] == 61 and (b - a) % 4:  # padding
-                b += 1
             i = int(np.searchsorted(offsets, a, "right")) - 1
-            b = min(b, int(offsets[i + 1]))
+            b = min(_padded(data, a, b), int(offsets[i + 1]))
             out.setdefault(i, []).append((int(points[a] - points[offsets[i]]), int(points[b] - points[offsets[i]])))
     return out
 
 
+def _padded(data: np.ndarray, a: int, b: int) -> int:
+    while b < len(data) and data[b] == 61 and (b - a) % 4:
+        b += 1
+    return b
+
+
+def _long_spans(field: Field, data: np.ndarray) -> list[tuple[int, int]]:
+    """The same for one text in runs of whole lines: nothing but the file's shares reaches beyond a line."""
+    n, at, before, out = len(data), 0, 0, []
+    count = lambda t: sum(int(np.count_nonzero(t[data[a : a + LONG]])) for a in range(0, n, LONG)) / n
+    shares = np.array([count(_DIGIT)]), np.array([count(_CODE)])
+    while at < n:
+        end = min(n, at + LONG)
+        if end < n:
+            breaks = np.flatnonzero(data[at:end] == 10)
+            while not len(breaks) and end < n:  # a line longer than a run
+                breaks = np.flatnonzero(data[end : end + LONG] == 10)[:1] + (end - at)
+                end = min(n, end + LONG)
+            end = at + int(breaks[-1]) + 1 if len(breaks) else n
+        part = data[at:end]
+        points = np.append(0, np.cumsum((part & 0xC0) != 0x80))
+        out += [(before + int(points[a]), before + int(points[_padded(part, a, b)])) for a, b in decode(field, tokens(part, np.array([0, len(part)]), shares))]
+        at, before = end, before + int(points[-1])
+    return out
+
+
+def beside(own: list[tuple[int, int, str]], more: list[tuple[int, int]]) -> list[tuple[int, int, str]]:
+    """Those of ``more`` that overlap none of ``own`` (sorted by start)."""
+    starts = [a for a, _, _ in own]
+    reach = list(accumulate((b for _, b, _ in own), max))
+    free = lambda a, b: not (k := bisect_left(starts, b)) or reach[k - 1] <= a
+    return [(a, b, "crf") for a, b in more if free(a, b)]
+
+
 def spans_of(field: Field, texts: pa.Array) -> list[list[tuple[int, int, str]]]:
     """(start, end, kind) by start for each text: base patterns, and what the field adds where they have none."""
     data, offsets = flat_bytes(texts)
@@ -337,8 +385,7 @@ def spans_of(field: Field, texts: pa.Array) -> list[list[tuple[int, int, str]]]:
         more = field_spans(field, data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i])
         for k, text in enumerate(texts.slice(i, j - i).to_pylist()):
             own = base_spans(text) if text else []
-            extra = [(a, b, "crf") for a, b in more.get(k, ()) if not any(a < y and x < b for x, y, _ in own)]
-            out.append(sorted(own + extra, key=lambda s: (s[0], (*KINDS, "crf").index(s[2]))))
+            out.append(sorted(own + beside(own, more.get(k, [])), key=lambda s: (s[0], (*KINDS, "crf").index(s[2]))))
     return out
 
 
@@ -384,15 +431,3 @@ def op1_secret_scan(spark, sf_dir: str) -> DataFrame:
     line = lambda c: F.concat_ws(",", F.transform(c, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))))
     base = F.filter("spans", lambda s: s["kind"] != "crf")
     return found.select("doc_id", number("assign"), number("access"), number("hex"), F.sha2(line(base), 256).alias("base_sha256"), line("spans").alias("spans"))
-
-
-def brute_force(text: str | None) -> tuple[int, int, int, str]:
-    """Counts and digest of the base patterns, straight from their definition."""
-    text, out = text or "", []
-    for m in re.finditer(ASSIGN.pattern, text, re.IGNORECASE | re.ASCII):
-        if len(m[2]) >= LEAST_VALUE:
-            out.append((m.start(), 0, m.end()))
-    out += [(m.start(), 1, m.end()) for m in re.finditer(r"AKIA[A-Z0-9]+", text) if len(m[0]) >= LEAST_ACCESS]
-    out += [(m.start(), 2, m.end()) for m in re.finditer(r"[0-9a-f]+", text) if len(m[0]) >= 32]
-    digest = hashlib.sha256(",".join(f"{KINDS[k]}:{a}:{b}" for a, k, b in sorted(out)).encode()).hexdigest()
-    return (*(sum(k == i for _, k, _ in out) for i in range(3)), digest)

@@ -5,7 +5,8 @@ neighbouring candidates make a candidate of twice the length, and only those are
 looked at on the next level, until the wanted length is reached or no candidate
 survives. On lower levels a 32-bit print within its bucket decides (false alarms
 are possible and harmless: the next level looks again, misses are not). On the
-last level windows are told apart by 96 bits.
+last level windows are told apart by two polynomial prints, 96 bits in all, over 64-bit
+hashes of their words.
 
 Every word covered by a window of ``base * 2**k`` words whose words also start
 earlier (smaller id, or same document and an earlier start) is removed; windows are
@@ -26,7 +27,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from ._exchange import Chunked, ask_prints, cut, mail, note_to_self, print_keys, read_flags, repeated_elsewhere, replies
+from ._exchange import Chunked, ask_prints, cut, mail, note_to_self, print_keys, read_flags, repeated_elsewhere
 from ._spark import documents
 from ._text import WORD_POWERS, WORD_POWERS_2, U, flat_bytes, hash_words, ids_of, ids_out, mix, prefix_hash, span_hash
 
@@ -162,9 +163,9 @@ def remove_repeated_windows(docs: DataFrame, *, base: int = 10, doublings: int =
             kept.append(hashlib.sha256(text).hexdigest() if digest else text.decode())
         return pa.table([ids_out(w.ids), pa.array(w.sizes, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.string())], schema=schema)
 
-    answers = replies(chunked.ask(first), repeated_elsewhere if doublings else _first_elsewhere)
+    answers = chunked.replies(chunked.ask(first), repeated_elsewhere if doublings else _first_elsewhere)
     for k in range(doublings):
-        answers = replies(chunked.then(answers, step(k)), _first_elsewhere if k + 1 == doublings else repeated_elsewhere)
+        answers = chunked.replies(chunked.then(answers, step(k)), _first_elsewhere if k + 1 == doublings else repeated_elsewhere)
     return chunked.then(answers, finish, "doc_id long, n_words long, n_removed long, kept string")
 
 

@@ -33,7 +33,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from ._exchange import Chunked, ask_prints, cut, mail, note_to_self, print_keys, read_flags, repeated_elsewhere, replies
+from ._exchange import Chunked, ask_prints, cut, mail, note_to_self, print_keys, read_flags, repeated_elsewhere
 from ._spark import documents
 from ._text import BYTE_CODE, BYTE_POWERS, U, flat_bytes, groups_of, ids_of, ids_out, mix, prefix_hash, span_hash
 
@@ -332,8 +332,8 @@ def remove_repeated_bytes(docs: DataFrame, *, length: int = 50, gram: int = 16,
             kept.append(hashlib.sha256(part).hexdigest() if digest else part)
         return pa.table([ids_out(ids), pa.array(np.diff(offsets), pa.int64()), pa.array(removed, pa.int64()), pa.array(spans[offsets[1:]] - spans[offsets[:-1]], pa.int64()), pa.array(kept, schema.field("kept").type)], schema=schema)
 
-    known = replies(chunked.ask(first), repeated_elsewhere)
-    sorted_ = replies(chunked.then(known, second), pieces.resolve)
+    known = chunked.replies(chunked.ask(first), repeated_elsewhere)
+    sorted_ = chunked.replies(chunked.then(known, second), pieces.resolve)
     return chunked.then(sorted_, finish, f"doc_id long, n_bytes long, n_removed long, n_spans long, kept {'string' if digest else 'binary'}")
 
 

@@ -1,6 +1,7 @@
 """Each registered opN query, columns and all, against brute force over a folder of small tables."""
 
 import hashlib
+import math
 import random
 import re
 import zlib
@@ -10,7 +11,8 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.parquet as pq
 import pytest
-from test_operators import ROWS, VOCABULARY, WORDS, tokenizers
+from conftest import SF, rows_of
+from test_operators import KINDS, ROWS, VOCABULARY, WORDS, base_by_hand, tokenizers
 
 from pointerforest.llm import packing, queries
 from pointerforest.llm._text import flat_bytes, groups_of
@@ -121,3 +123,55 @@ def test_op7_keeps_the_rest(spark, folder):
     got = OPS[7](spark, folder)
     assert got.columns[:5] == ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"]
     assert {tuple(r)[:5] for r in got.collect()} == want
+
+
+@pytest.mark.parametrize("name", sorted(queries.oracle_sql()))
+def test_queries_with_sql(spark, duck, name):
+    assert rows_of(queries.queries()[name](spark, SF).toPandas()) == rows_of(duck.sql(queries.oracle_sql()[name]).df())
+
+
+def test_op1_base_columns(spark, folder):
+    got = OPS[1](spark, folder)
+    assert got.columns[:6] == ["doc_id", "n_assign", "n_access", "n_hex", "base_sha256", "spans"]
+    texts = dict(TEXTS)
+    for r in got.collect():
+        assert tuple(r)[1:5] == base_by_hand(texts[r["doc_id"]])
+        kinds = Counter(s.split(":")[0] for s in r["spans"].split(",") if s)
+        assert all(kinds[k] == n for k, n in zip(KINDS, tuple(r)[1:4], strict=True))
+
+
+def test_op3_statistics_and_verdict(spark, folder):
+    got = OPS[3](spark, folder)
+    assert got.columns[:8] == ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept"]
+    texts = dict(TEXTS)
+    for r in got.collect():
+        t = texts[r["doc_id"]] or ""
+        w = re.findall(r"[^\x20\x09-\x0D]+", t)
+        c = Counter(tuple(w[i : i + 3]) for i in range(len(w) - 2))
+        covered = {i + k for i in range(len(w) - 2) if c[tuple(w[i : i + 3])] > 1 for k in range(3)}
+        lines = [x for x in t.split("\n") if re.search(r"[^\x20\x09-\x0D]", x)]
+        failed = len(w) < 50 or 100 * len(covered) > 50 * len(w)
+        assert tuple(r)[1:7] == (len(w), sum(map(len, w)), sum(x in "#*$%&|<>" for x in t), len(lines) - len(set(lines)), len(covered), failed)
+        assert not (failed and r["kept"])
+
+
+def test_op4_base_and_score(spark, folder):
+    got = OPS[4](spark, folder)
+    assert got.columns[:7] == ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"]
+    lower = lambda t: "".join(c.lower() if c.isascii() else c for c in t)
+    toks = {d: [*re.findall(r"[^\x20\x09-\x0D]+", lower(t or "")), None] for d, t in TEXTS}
+    held = {d: zlib.crc32(str(d).encode()) % 10 == 0 for d in toks}
+    c = Counter(x for d, ts in toks.items() if not held[d] for x in ts)
+    n, v = sum(c.values()), len(c)
+    for r in got.collect():
+        ts = toks[r["doc_id"]]
+        assert tuple(r)[1:5] == (held[r["doc_id"]], len(ts), sum(c[x] > 0 for x in ts), n) and r["score"] < 0
+        assert math.isclose(r["base_score"], sum(math.log10((c[x] + 0.1) / (n + 0.1 * (v + 1))) for x in ts), rel_tol=1e-9)
+
+
+def test_op9_scores_and_predictions(spark, folder):
+    got = OPS[9](spark, folder)
+    assert got.columns[:4] == ["doc_id", "held_out", "score", "predicted"]
+    rows = got.collect()
+    assert Counter(r["doc_id"] for r in rows) == Counter(d for d, _ in TEXTS)
+    assert all(r["held_out"] == (zlib.crc32(str(r["doc_id"]).encode()) % 5 == 0) and 0 <= r["score"] <= 1 and r["predicted"] == int(r["score"] >= 0.5) for r in rows)
