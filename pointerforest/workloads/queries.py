@@ -200,7 +200,7 @@ def first_correct(spark, d):
     return spark.createDataFrame([(min(k for k in trace if flat[k]["star"] and flat[k]["n"] == last),)], "iteration int")
 
 
-_PATH_SQL = "SELECT (a.event_id * 7919) % 10007 AS src, (b.event_id * 7919) % 10007 AS dst FROM events a JOIN events b ON b.event_id = a.event_id + 1 WHERE b.event_id < 2000"
+_PATH_SQL = "SELECT (a.event_id * 7919) % m AS src, (b.event_id * 7919) % m AS dst FROM events a JOIN events b ON b.event_id = a.event_id + 1 CROSS JOIN (SELECT n + CAST(n % 7919 = 0 AS BIGINT) AS m FROM (SELECT max(event_id) + 1 AS n FROM events))"
 
 
 def _path_iterations(level: int, path: str = _PATH_SQL) -> str:
@@ -208,13 +208,6 @@ def _path_iterations(level: int, path: str = _PATH_SQL) -> str:
     return f"SELECT CAST({level} AS INT) AS level, (SELECT CAST(max(k) AS INT) FROM ({sql})) AS iterations"
 
 
-@add("order_permuted_vs_natural", " UNION ALL ".join(_path_iterations(level) for level in (1, 4, 5)))
-def permuted(spark, d):
-    """Rounds on a path whose ids are mixed: the ordering is part of the input."""
-    edges = GRAPHS["eventpath"].edges(spark, d).where("dst < 2000").selectExpr("(src * 7919) % 10007 AS src", "(dst * 7919) % 10007 AS dst")
-    return spark.createDataFrame([(level, A.connected_components(edges, level=level).iterations) for level in (1, 4, 5)], "level int, iterations int")
-
-
 def mixed_path(edges: DataFrame, ids: DataFrame) -> DataFrame:
     """Edges with ids moved by (id * 7919) mod m, one-to-one: m is beyond all ids and no multiple of the prime 7919."""
     m = (ids.agg(F.max("id")).first()[0] or 0) + 1
@@ -222,12 +215,9 @@ def mixed_path(edges: DataFrame, ids: DataFrame) -> DataFrame:
     return edges.selectExpr(f"(src * 7919) % {m} AS src", f"(dst * 7919) % {m} AS dst")
 
 
-_WHOLE_PATH_SQL = "SELECT (a.event_id * 7919) % m AS src, (b.event_id * 7919) % m AS dst FROM events a JOIN events b ON b.event_id = a.event_id + 1 CROSS JOIN (SELECT n + CAST(n % 7919 = 0 AS BIGINT) AS m FROM (SELECT max(event_id) + 1 AS n FROM events))"
-
-
-@add("order_permuted_whole", " UNION ALL ".join(_path_iterations(level, _WHOLE_PATH_SQL) for level in (1, 4, 5)))
-def permuted_whole(spark, d):
-    """Rounds on the whole event path with mixed ids."""
+@add("order_permuted_vs_natural", " UNION ALL ".join(_path_iterations(level) for level in (1, 4, 5)))
+def permuted(spark, d):
+    """Rounds on the whole event path with mixed ids: the ordering is part of the input."""
     edges, vertices = graph(spark, d, "eventpath")
     edges, _ = keep(mixed_path(edges, vertices))
     return spark.createDataFrame([(level, A.connected_components(edges, level=level).iterations) for level in (1, 4, 5)], "level int, iterations int")
@@ -479,19 +469,8 @@ def ntile(spark, d):
     return R.rank_members(run(spark, d, _G3).labels, [F.col("id")]).select("id", "quartile")
 
 
-_PAIR_IDS = "SELECT DISTINCT o_orderkey * 2 AS id FROM orders WHERE o_orderpriority LIKE '1%' AND o_custkey % 50 = 0"
-
-
-@add("same_component_pairs", O.cc(_G3, f"SELECT a.id AS a, b.id AS b FROM cc a JOIN cc b ON a.comp = b.comp AND a.id < b.id WHERE a.id IN ({_PAIR_IDS}) AND b.id IN ({_PAIR_IDS})"))
+@_report("same_component_pairs", "SELECT id, comp AS representative, CAST(count(*) OVER (PARTITION BY comp) - 1 AS BIGINT) AS partners FROM cc")
 def same_component_pairs(spark, d):
-    """Which of some chosen orders hang together."""
-    chosen = read(spark, d, "orders").where("o_orderpriority LIKE '1%' AND o_custkey % 50 = 0").select((F.col("o_orderkey") * 2).alias("id"))
-    some = run(spark, d, _G3).labels.join(chosen, "id", "left_semi")
-    return some.select(F.col("id").alias("a"), "component").join(some.select(F.col("id").alias("b"), "component"), "component").where("a < b").select("a", "b")
-
-
-@_report("same_component_members", "SELECT id, comp AS representative, CAST(count(*) OVER (PARTITION BY comp) - 1 AS BIGINT) AS partners FROM cc")
-def same_component_members(spark, d):
     """All pairs of all vertices in linear size: two of them pair up if their representative is the same."""
     labels, _ = keep(run(spark, d, _G3).labels)
     sizes = R.component_sizes(labels).select("component", (F.col("n") - 1).alias("partners"))
@@ -720,8 +699,9 @@ def json_edges(spark, d):
 @add("source_text_matrix_edges", _G16_SQL)
 def text_edges(spark, d):
     path = _folder(spark, "edges")
-    rows = GRAPHS["nationregion"].edges(spark, d).select(F.format_string("%d %d", "src", "dst").alias("value"))
-    spark.createDataFrame([("% a comment",), ("1000 1000 25",)], "value string").unionByName(rows).coalesce(1).write.text(path)
+    rows = GRAPHS["nationregion"].edges(spark, d).select(F.format_string("%d %d", "src", "dst").alias("value"), F.lit(2).alias("at"))
+    top = spark.createDataFrame([("% a comment", 0), ("1000 1000 25", 1)], "value string, at int")
+    top.unionByName(rows).coalesce(1).sortWithinPartitions("at").select("value").write.text(path)
     return S.read_edges(spark, path, "coordinate")
 
 
