@@ -72,6 +72,7 @@ def _tree_scheme(edges, vertices, *, only_stars: bool, middle_shortcut: bool, la
 def _tree_rounds(own: list[Layout], ids: DataFrame, n: int, scratch: Scratch, only_stars: bool, middle_shortcut: bool, last_shortcut: bool, prune: bool, max_iter: int) -> Run:
     state = ids.select("id", F.col("id").alias("f"), F.col("id").alias("gf"))
     done, trace, left, gone = None, [], n, []
+    spent: list[DataFrame] = []  # tables that nothing reads once the next state is written
     for k in range(1, max_iter + 1):
         began, layout = time.monotonic(), own[-1]
         marked = state.select("id", "f", "gf", F.col("f").alias("f_prev"))
@@ -81,10 +82,12 @@ def _tree_rounds(own: list[Layout], ids: DataFrame, n: int, scratch: Scratch, on
         hooked = _set(marked.select("id", "f", "f_prev"), to).join(touched, "id", "left").withColumn("touched", F.coalesce("touched", F.lit(False)))
         if middle_shortcut:
             hooked, _ = scratch.keep(gather(hooked.withColumnRenamed("f", "h"), "h", "f", value="h"))
+            spent.append(hooked)
             # A tree that the shortcut has just flattened is not stagnant: its neighbour may hook this round too.
             flat = hooked.where("f <> h").select(F.col("f").alias("id")).distinct().withColumn("flat", F.lit(True))
             hooked = hooked.join(flat, "id", "left").select("id", "f", "f_prev", (F.col("touched") | F.coalesce("flat", F.lit(False))).alias("touched"))
         hooked, _ = scratch.keep(mark_stars(gather(hooked, "f", "gf")))
+        spent.append(hooked)
         # What the unconditional step sees also tells which stars have no edge to anywhere else.
         free = scatter_min(outside(layout, hooked, rows=left), "f", "value")
         roots = hooked.where("f = id").select(F.col("id").alias("_r"), F.col("touched").alias("_t")).join(free.withColumnRenamed("id", "_r"), "_r", "left")
@@ -95,6 +98,9 @@ def _tree_rounds(own: list[Layout], ids: DataFrame, n: int, scratch: Scratch, on
         if last_shortcut or not middle_shortcut:
             new = gather(new.withColumnRenamed("f", "h"), "h", "f", value="h").select("id", "f", "f_prev", "over")
         state, seen = scratch.keep(gather(new, "f", "gf"), changed_f=F.count_if(F.col("f") != F.col("f_prev")), roots=F.count_if(F.col("f") == F.col("id")), n=F.count(F.lit(1)), over=F.count_if("over"))
+        for table in spent:
+            forget(table)
+        spent = [] if prune and seen["over"] else [state]
         trace.append({"iteration": k, "changed_f": seen["changed_f"], "roots": seen["roots"], "products": 2, "inactive_fraction": 1 - seen["n"] / n if n else 0.0, "seconds": time.monotonic() - began})
         if not seen["changed_f"]:
             labels = state.select("id", "f")
