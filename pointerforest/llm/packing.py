@@ -24,7 +24,6 @@ are pieces of their own; an empty table gives no rows; a null id stays null.
 from __future__ import annotations
 
 import bisect
-import json
 import os
 import zlib
 from collections.abc import Callable, Iterator
@@ -40,9 +39,9 @@ from ._spark import documents, stored
 from ._text import BYTE_CODE, BYTE_POWERS, U, flat_bytes, groups_of, ids_of, ids_out, mix, prefix_hash, release, span_hash, words_of
 
 #: Entries, and ids in them, of a generation of a worker's memo of encoded stretches.
-MEMO, MEMO_IDS = 750_000, 4_000_000
-#: Bytes of text encoded together.
-GROUP_BYTES = 4 << 20
+MEMO, MEMO_IDS = 500_000, 3_000_000
+#: Bytes of text encoded together; some forty times as many are held while they are.
+GROUP_BYTES = 1 << 20
 _MARK = "\x01"
 #: Below it, characters are letters or not whatever their neighbours are.
 _SIMPLE = "\u0250"
@@ -305,7 +304,7 @@ def _encode_some(tokenizer, texts: list[str], who: list[int], between: str, ends
 def word_ends(tokenizer) -> np.ndarray:
     """Which ids are the last of a pre-token."""
     if id(tokenizer) not in _ends:
-        suffix = json.loads(tokenizer.to_str())["model"].get("end_of_word_suffix") or "\0"
+        suffix = getattr(tokenizer.model, "end_of_word_suffix", None) or "\0"
         vocab = tokenizer.get_vocab(with_added_tokens=True)
         last = np.zeros(max(vocab.values(), default=0) + 1, bool)
         last[[i for w, i in vocab.items() if w.endswith(suffix)]] = True
@@ -414,8 +413,9 @@ def token_pieces(docs: DataFrame, vocabulary: str, *, capacity: int = 2048, end_
                 if keep_ids:
                     out.append(pa.array(raw, pa.list_(pa.int64())))
                     names.append("ids")
+                del flat, places
+                release()
                 yield pa.RecordBatch.from_arrays(out, names=names)
-            release()
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     return rows.mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long" + ", ids array<long>" * keep_ids)
