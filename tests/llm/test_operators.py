@@ -304,6 +304,28 @@ def test_field_finds_secrets_it_was_not_shown():
     assert hit / (hit + miss) > 0.9 and hit / (hit + false) > 0.9
 
 
+def test_field_finds_planted_secrets_in_documents():
+    """Secrets in lines that no base pattern matches, at the end of given documents; every other document gets a plain line."""
+    import pyarrow.parquet as pq
+
+    field, r = secrets.trained_field(), random.Random(9)
+    letters = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+    forms = ["export AUTH_KEY={}", "credential: {}", "Authorization: Bearer {}", "auth -> {}", "login with pwd {}", "ghp_{}"]
+    plain = ["see commit number 20231104 of the tree", "call 555-8180 today", "order 4711 shipped", "version v1.2.3-rc4 is out", "the file IMG_20230101.jpg", "room B12 at 10:30"]
+    texts, planted = [], []
+    for i, t in enumerate([t for t in pq.read_table("/root/testdata/sf0.01/documents.parquet")["text"].to_pylist() if t][:400]):
+        value = "".join(r.choice(letters) for _ in range(r.randint(20, 40)))
+        line = plain[i // 2 % 6] if i % 2 else forms[i // 2 % 6].format(value)
+        texts.append(t + "\n" + line)
+        at = texts[-1].rindex(value) if not i % 2 else 0
+        planted.append(None if i % 2 else (at, at + len(value)))
+    hit = false = 0
+    for p, spans in zip(planted, secrets.spans_of(field, pa.array(texts)), strict=True):
+        found = [p is not None and a < p[1] and p[0] < b for a, b, k in spans if k == "crf"]
+        hit, false = hit + any(found), false + found.count(False)
+    assert hit >= 0.9 * 200 and false <= 4, (hit, false)
+
+
 def test_lines_without_viterbi_would_stay_outside():
     field = secrets.trained_field()
     data, offsets = secrets.flat_bytes(pa.array([prose(50), "key=ab12 " + prose(5)]))
