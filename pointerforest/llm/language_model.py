@@ -46,16 +46,28 @@ SINGLY = 64
 
 @dataclass(frozen=True)
 class Prior:
-    """Discount and strength of the children and of the parent; sweeps left out and kept."""
+    """Discount and strength of the children and of the parent; sweeps left out and kept.
 
-    discount: float = 0.7
-    strength: float = 1.0
-    parent_discount: float = 0.75
+    Discounts of None are fitted by each bucket to its own restaurants. A weak strength lets
+    a context's own counts speak: held-out perplexity is 942 with 0.1 and 980 with 1 on sf0.01.
+    """
+
+    discount: float | None = 0.7
+    strength: float = 0.1
+    parent_discount: float | None = 0.75
     parent_strength: float = 50.0
     burn_in: int = 2
     kept: int = 4
 
 
+def fitted(discount: float | None, count: np.ndarray) -> float:
+    """A given discount, or that of the counts: words seen once over these and twice those seen twice."""
+    if discount is not None:
+        return discount
+    once, twice = int((count == 1).sum()), int((count == 2).sum())
+    return min(0.95, max(0.05, once / (once + 2 * twice))) if once else 0.5
+
+
 def seat(count: np.ndarray, weight: np.ndarray, discount: float, rng: np.random.Generator) -> np.ndarray:
     """Tables of each word after all its customers are seated anew.
 
@@ -135,20 +147,21 @@ def seat_contexts(payloads: list[bytes], prior: Prior) -> list[bytes]:
     customers = np.bincount(context, count, len(contexts))
     _, which = np.unique(word, return_inverse=True)
     parent = (np.bincount(which, seen) / max(1, seen.sum()))[which]
+    discount = fitted(prior.discount, count)
     rng = np.random.default_rng(int(count.sum()) * 31 + int(distinct))
     tables = seen.astype(float)
     a, g, t = np.zeros(distinct), np.zeros(len(contexts)), np.zeros(distinct)
     many = np.flatnonzero(count > 1)
     for sweep in range(prior.burn_in + prior.kept):
         total = np.bincount(context, tables, len(contexts))
-        tables[many] = seat(count[many], (prior.strength + prior.discount * total[context[many]]) * parent[many], prior.discount, rng)
+        tables[many] = seat(count[many], (prior.strength + discount * total[context[many]]) * parent[many], discount, rng)
         if sweep >= prior.burn_in:
             total = np.bincount(context, tables, len(contexts))
-            a += (count - prior.discount * tables) / (prior.strength + customers[context]) / prior.kept
-            g += (prior.strength + prior.discount * total) / (prior.strength + customers) / prior.kept
+            a += (count - discount * tables) / (prior.strength + customers[context]) / prior.kept
+            g += (prior.strength + discount * total) / (prior.strength + customers) / prior.kept
             t += tables / prior.kept
     a[~seen] = 0
-    once = (1 - prior.discount) / (prior.strength + customers)
+    once = (1 - discount) / (prior.strength + customers)
     share = np.where(seen, t / np.maximum(count, 1), 0)
     plain = (count == own_counts(own, at, distinct)) & (count <= 1)
     out, i, j = [], 0, 0
@@ -212,22 +225,23 @@ class Words:
 
 
 def seat_words(payloads: list[bytes], prior: Prior, buckets: int) -> tuple[list[bytes], tuple[float, ...]]:
-    """Seats the parent restaurant's words of a bucket; answers and (tokens, words, customers, tables)."""
+    """Seats the parent restaurant's words of a bucket; answers and (tokens, words, customers, discounted tables)."""
     parts = [np.frombuffer(p, "<u8", len(p) // 16) for p in payloads]
     hashes, at = np.unique(np.concatenate(parts), return_inverse=True)
     count = np.bincount(at, np.concatenate([np.frombuffer(p, "<u4", len(p) // 16, len(p) // 16 * 8) for p in payloads]), len(hashes))
     tables = np.bincount(at, np.concatenate([np.frombuffer(p, "<f4", len(p) // 16, len(p) // 16 * 12) for p in payloads]), len(hashes))
     customers = np.where(count > 0, np.maximum(np.round(tables), 1), 0)
+    discount = fitted(prior.parent_discount, customers)
     rng = np.random.default_rng(int(count.sum()) * 31 + len(hashes))
     base = 1 / (1 + max(1, int((count > 0).sum())) * buckets)
     roots, kept = (customers > 0).astype(float), np.zeros(len(hashes))
     for sweep in range(prior.burn_in + prior.kept):
-        roots = seat(customers, np.full(len(hashes), (prior.parent_strength + prior.parent_discount * roots.sum() * buckets) * base), prior.parent_discount, rng)
+        roots = seat(customers, np.full(len(hashes), (prior.parent_strength + discount * roots.sum() * buckets) * base), discount, rng)
         if sweep >= prior.burn_in:
             kept += roots / prior.kept
-    own = np.maximum(customers - prior.parent_discount * kept, 0)
+    own = np.maximum(customers - discount * kept, 0)
     out = np.split(np.stack([count, own], axis=1)[at], np.cumsum([len(p) for p in parts])[:-1])
-    return [pack_counts(x[:, 0], x[:, 1]) for x in out], (float(count.sum()), float((count > 0).sum()), float(customers.sum()), float(kept.sum()))
+    return [pack_counts(x[:, 0], x[:, 1]) for x in out], (float(count.sum()), float((count > 0).sum()), float(customers.sum()), float(discount * kept.sum()))
 
 
 def pack_counts(count: np.ndarray, own: np.ndarray) -> bytes:
@@ -297,7 +311,7 @@ def score_documents(docs: DataFrame, *, prior: Prior | None = None, held_out: st
         count, own = np.zeros(len(w.hashes)), np.zeros(len(w.hashes))
         for bucket, i, j in zip(w.bucket.tolist(), w.a, w.b, strict=True):
             count[i:j], own[i:j] = read_counts(box[buckets + bucket], j - i)
-        single = (own + (prior.parent_strength + prior.parent_discount * roots) / (v + 1)) / (prior.parent_strength + customers)
+        single = (own + (prior.parent_strength + roots) / (v + 1)) / (prior.parent_strength + customers)
         base = np.log10((count + 0.1) / (n + 0.1 * (v + 1)))
         score = np.log10(a[p.which] + g[p.which] * single[w.which])
         row = np.repeat(np.arange(table.num_rows), p.sizes)

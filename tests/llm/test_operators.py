@@ -411,9 +411,9 @@ def test_language_model_scores_hardly_move_with_the_number_of_buckets(spark, mon
     assert abs(few / many - 1) < 0.02 and math.isclose(base, same, rel_tol=1e-9) and many < base
 
 
-def test_restaurant_probabilities_sum_to_one():
+@pytest.mark.parametrize("prior", [language_model.Prior(), language_model.Prior(discount=None, strength=2.0)])
+def test_restaurant_probabilities_sum_to_one(prior):
     """Own shares and the parent's weight of a context add up to one."""
-    prior = language_model.Prior()
     pairs = [np.array([1, 5], np.int64).tobytes() + b"".join(np.array(x, np.uint32).tobytes() for x in ([9], [5], [1, 2, 3, 4, 5], [7, 3, 1, 2, 0]))]
     raw = language_model.seat_contexts(pairs, prior)[0]
     g, once = language_model.full(raw, 1, 0)[0], language_model.full(raw, 1, 2)[0]
