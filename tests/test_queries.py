@@ -33,6 +33,19 @@ def test_mixed_path_is_whole_and_one_to_one(spark, n):
     assert len(got) == n - 1 and len({x for r in got for x in r}) == n
 
 
+def test_session_gap_counts_seconds_of_the_clock(spark, tmp_path):
+    """14,399.2 seconds that span 14,400 ticks of the clock are no link; 14,399 ticks are one."""
+    import duckdb
+
+    ts = ["2024-01-01 00:00:00.9", "2024-01-01 04:00:00.1", "2024-01-01 07:59:59.9", "2024-01-01 11:59:59.8"]
+    spark.createDataFrame([(i, 1, t) for i, t in enumerate(ts)], "event_id long, user_id long, t string").selectExpr("event_id", "user_id", "CAST(t AS TIMESTAMP_NTZ) AS ts").write.parquet(f"{tmp_path}/events.parquet")
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet/*.parquet'")
+    for name in ("edges_session_gap", "cc_accel_eventsession"):
+        assert rows_of(QUERIES[name](spark, str(tmp_path)).toPandas()) == rows_of(con.sql(SQL[name]).df())
+    assert [tuple(r) for r in QUERIES["edges_session_gap"](spark, str(tmp_path)).collect()] == [(1, 2)]
+
+
 def test_plan_keeps_scans_narrow(spark):
     from pointerforest.workloads.graphs import GRAPHS
 
