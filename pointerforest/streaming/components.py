@@ -34,13 +34,26 @@ def as_stream(df: DataFrame, order: str, files: int, replay_first: bool = False)
     return spark.readStream.schema(df.schema).option("maxFilesPerTrigger", each).parquet(folder)
 
 
-def run_now(stream: DataFrame, mode: str, name: str) -> DataFrame:
-    """All that is there, into a memory table."""
+def run_now(stream: DataFrame, mode: str) -> DataFrame:
+    """All that is there, as a table in the shared folder: the last batch's in mode ``complete``, those of all batches otherwise.
+
+    Executors write each batch, so that nothing of it passes through the driver; a batch
+    that comes again writes its own folder anew.
+    """
     spark = stream.sparkSession
-    where = f"{shared_folder(spark)}/progress-{uuid.uuid4().hex}"
-    table = f"{name}_{uuid.uuid4().hex[:8]}"
-    stream.writeStream.format("memory").queryName(table).outputMode(mode).option("checkpointLocation", where).trigger(availableNow=True).start().awaitTermination()
-    return spark.table(table)
+    where, out = (f"{shared_folder(spark)}/{kind}-{uuid.uuid4().hex}" for kind in ("progress", "batches"))
+    written: list[str] = []
+
+    def one(batch: DataFrame, k: int) -> None:
+        path = f"{out}/v-{k}"
+        batch.write.mode("overwrite").parquet(path)
+        if mode == "complete":
+            while written:
+                delete_folder(spark, written.pop())
+        written.append(path)
+
+    stream.writeStream.foreachBatch(one).outputMode(mode).option("checkpointLocation", where).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(*written) if written else spark.createDataFrame([], stream.schema)
 
 
 class LabelStore:

@@ -46,6 +46,15 @@ def test_session_gap_counts_seconds_of_the_clock(spark, tmp_path):
     assert [tuple(r) for r in QUERIES["edges_session_gap"](spark, str(tmp_path)).collect()] == [(1, 2)]
 
 
+@pytest.mark.parametrize("name", ["stream_session", "stream_state_unionfind"])
+def test_streams_end_in_files_and_not_on_the_driver(spark, duck, name):
+    """Files of executors, the last batch's alone in mode complete; a table in the driver's memory has no files."""
+    got = QUERIES[name](spark, SF)
+    files = got.inputFiles()
+    assert files and len({f.split("/v-")[1].split("/")[0] for f in files}) == (1 if name == "stream_session" else 3)
+    assert rows_of(got.toPandas()) == rows_of(duck.sql(SQL[name]).df())
+
+
 def test_plan_keeps_scans_narrow(spark):
     from pointerforest.workloads.graphs import GRAPHS
 
