@@ -55,6 +55,16 @@ def test_streams_end_in_files_and_not_on_the_driver(spark, duck, name):
     assert rows_of(got.toPandas()) == rows_of(duck.sql(SQL[name]).df())
 
 
+@pytest.mark.parametrize("key", ["cosine3", "cosine4"])
+def test_cosine_graphs_make_no_row_of_a_pair_that_is_no_edge(spark, duck, key):
+    from pointerforest.workloads.graphs import GRAPHS
+
+    edges = GRAPHS[key].edges(spark, SF)
+    plan = edges._jdf.queryExecution().executedPlan().toString()
+    assert "NestedLoop" not in plan and "Cartesian" not in plan
+    assert rows_of(edges.toPandas()) == rows_of(duck.sql(GRAPHS[key].edge_sql).df())
+
+
 def test_plan_keeps_scans_narrow(spark):
     from pointerforest.workloads.graphs import GRAPHS
 
