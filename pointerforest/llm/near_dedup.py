@@ -12,16 +12,16 @@ document is its connected component.
    all pairs). Pairs that the sketches place five standard deviations below the bound
    drop out; the rest is confirmed on the full sets. Components follow.
 4. Vertices of a key that are still in different components are compared by their
-   sketches, in blocks of bounded size (keys of very many vertices are first split by a
-   second band). Each vertex gets a list of what it may be linked with in each foreign
+   sketches, in blocks of bounded size (keys of very many vertices block against block).
+   Each vertex gets a list of what it may be linked with in each foreign
    component, and meets the sets of that component once, whatever the number of keys and
    pairs. Pairs inside a component need no confirmation, so a group of thousands of
    copies costs a star.
 
 A pair at the bound is missed with a probability of 3e-7 by the bands
-((1 - 0.75**4)**40) and as little by the sketches. If its only common key is one of more
-than ``BLOCK`` vertices (probability 4.6e-6), it is found only where the star or a chain of
-other links joins it; every other pair is compared whatever the size of its keys.
+((1 - 0.75**4)**40) and as little by the sketches; every other pair is compared whatever
+the size of its keys. On a key of very many vertices the comparisons of sketches grow with
+the vertices times those outside the key's largest component.
 
 Defined results: null and empty texts have an empty set, n_shingles 0, and are a
 class of their own; with fewer than five words the whole sequence is the one shingle;
@@ -174,18 +174,12 @@ def _bits_apart(x: str, y: str):
 def open_lists(rows: DataFrame, most: int, block: int = BLOCK) -> DataFrame:
     """(comp, part, a, bs): documents of component ``comp`` that ``a`` of another one may be linked with.
 
-    ``rows``: key, doc_id, comp, parts (of that component), sketch. Keys with more than
-    ``block`` documents are split by a second band (a pair above the bound shares
-    several), and what is still larger is compared block against block, each in a task
-    of its own.
+    ``rows``: key, doc_id, comp, parts (of that component), sketch. Keys of any size are
+    compared whole: with more than ``block`` documents block against block, each two in a
+    task of their own.
     """
     sizes = rows.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi")
-    mixed = rows.join(sizes.select("key", "n"), "key")
-    hot = mixed.where(F.col("n") > block)
-    second = hot.select("key", "doc_id").join(rows.select("doc_id", F.col("key").alias("key2")), "doc_id").where("key <> key2")
-    split = hot.drop("n").join(second, ["key", "doc_id"]).withColumn("key", F.xxhash64(F.least("key", "key2"), F.greatest("key", "key2"))).drop("key2").dropDuplicates(["key", "doc_id"])
-    split = split.join(split.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "key")
-    every = mixed.where(F.col("n") <= block).unionByName(split.select(*mixed.columns))
+    every = rows.join(sizes.select("key", "n"), "key")
     blocks = F.ceil(F.col("n") / block)
     own = every.withColumn("mine", F.pmod(F.xxhash64("doc_id"), blocks)).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1)))
     own = own.withColumn("i", F.least("mine", "other")).withColumn("j", F.greatest("mine", "other"))
@@ -199,8 +193,9 @@ def open_lists(rows: DataFrame, most: int, block: int = BLOCK) -> DataFrame:
         weight = count[which] * np.int64(len(count)) + which  # the smaller component asks
         order = np.argsort(weight, kind="stable")
         out: list[tuple[int, int, int, list[int]]] = []
-        for x in range(0, len(order), 256):
-            u = order[x : x + 256]
+        asking = order[weight[order] < weight.max()]  # the largest component is only asked
+        for x in range(0, len(asking), 256):
+            u = asking[x : x + 256]
             apart = np.zeros((len(u), len(order)), np.int64)
             for k in range(sketch.shape[1]):
                 apart += np.bitwise_count(sketch[u, k][:, None] ^ sketch[order, k][None, :])

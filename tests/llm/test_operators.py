@@ -446,3 +446,19 @@ def test_untidy_and_empty_tables(spark, name):
     if name not in ("contamination", "pack"):
         assert Counter(r["doc_id"] for r in got) == Counter([None, None, 1, 1, 2, -3])
     assert run(spark.createDataFrame([], schema)).collect() == []
+
+
+def test_pairs_of_one_crowded_key_are_compared_whole(spark):
+    """Two like sets whose only common key has more sets than a block; every other one differs from all."""
+    import numpy as np
+
+    from pointerforest.llm.near_dedup import open_lists
+
+    random = np.random.default_rng(5)
+    sketch = [[int(x) for x in random.integers(-(2**62), 2**62, 16)] for _ in range(20)]
+    sketch[17] = sketch[3]
+    rows = [(1, d, d, 1, s) for d, s in enumerate(sketch)] + [(100 + d, d, d, 1, s) for d, s in enumerate(sketch)]
+    df = spark.createDataFrame(rows, "key long, doc_id long, comp long, parts long, sketch array<long>")
+    for block in (4, 64):
+        got = [{r["a"], *r["bs"]} for r in open_lists(df, 100, block).collect()]
+        assert got == [{3, 17}]
