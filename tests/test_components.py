@@ -159,3 +159,18 @@ def test_blocks_of_vectors_miss_no_similar_pair(spark):
     for block in (50, 1000):
         got = [tuple(r) for r in E.similar_vectors(df, "id", "v", 0.4, block=block).collect()]
         assert sorted(got) == [(a * 3, b * 3) for a, b in zip(x.tolist(), y.tolist(), strict=True)]
+
+
+def test_rounds_of_several_settings_share_one_layout(spark, monkeypatch):
+    """As many rounds as runs by themselves; edges are laid out once a graph."""
+    from pointerforest.operators import accelerated as A
+
+    graphs = [(spark.range(n).selectExpr("id AS src", "(id * 7 + 3) % 50 AS dst"), None) for n in (40, 45)]
+    settings = [{"level": 1}, {"level": 4}, {}, {"method": "star_hooking"}]
+    alone = [[A.connected_components(*g, **s).iterations for s in settings] for g in graphs]
+    made, real = [], A.lay_out
+    monkeypatch.setattr(A, "lay_out", lambda *a, **k: made.append(1) or real(*a, **k))
+    seen = []
+    assert A.rounds_of(graphs, settings[:3], lambda g, s, state, k: seen.append((g, s, k))) == [x[:3] for x in alone]
+    assert len(made) == 2 and sorted(seen) == [(g, s, k + 1) for g in range(2) for s in range(3) for k in range(alone[g][s])]
+    assert [x[0] for x in A.rounds_of(graphs, settings[3:])] == [x[3] for x in alone]
