@@ -94,6 +94,44 @@ def test_a_run_leaves_only_what_its_result_reads(spark):
         before |= left
 
 
+@pytest.fixture
+def written(monkeypatch):
+    """Schemas of the tables that runs write."""
+    from pointerforest.plans import store
+
+    seen, stored = [], store.stored
+    monkeypatch.setattr(store, "stored", lambda df: seen.append(df.columns) or stored(df))
+    return seen
+
+
+@pytest.mark.parametrize("hub", [None, 3])
+def test_label_propagation_does_several_rounds_a_job(spark, written, hub):
+    """As many rounds as the path is long, of a hub too; some null ends and loops; far fewer tables."""
+    edges = [(i, i + 1) for i in range(20)] + [(40, i) for i in range(41, 50)] + [(7, 7), (60, None), (None, 61)]
+    e = spark.createDataFrame(edges, "src long, dst long")
+    real = [x for x in edges if None not in x]
+    for local, most in ((False, 6), (True, 3)):
+        written.clear()
+        run = A.connected_components(e.coalesce(1) if local else e, spark.range(64), method="label_propagation", local=local, hub_edges=hub)
+        assert labels_of(run) == reference(range(64), real)
+        assert run.iterations == (2 if local else 21) and run.trace[-1]["changed"] == 0
+        assert len(written) <= most
+    with pytest.raises(A.NotConverged):
+        A.connected_components(e, method="label_propagation", max_iter=20)
+    none = spark.createDataFrame([], "src long, dst long")
+    assert A.connected_components(none, method="label_propagation").labels.count() == 0
+    assert labels_of(A.connected_components(e.where("src IS NULL OR dst IS NULL"), method="label_propagation", local=True)) == {60: 60, 61: 61}
+
+
+def test_a_chain_of_events_needs_few_jobs(spark, written):
+    from conftest import SF
+
+    from pointerforest.workloads.queries import QUERIES
+
+    QUERIES["cc_labelprop_chain"](spark, SF)
+    assert len(written) <= 3
+
+
 @pytest.mark.parametrize("tie", A.TIES)
 def test_ties_lead_to_the_same_components(spark, tie):
     edges = [(i, (i * 17 + 5) % 60) for i in range(50)] + [(i, i + 1) for i in range(40, 59)]
