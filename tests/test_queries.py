@@ -55,6 +55,16 @@ def test_streams_end_in_files_and_not_on_the_driver(spark, duck, name):
     assert rows_of(got.toPandas()) == rows_of(duck.sql(SQL[name]).df())
 
 
+def test_script_needs_few_rounds(spark, duck):
+    """Six rounds of one pass each; without hooks of the label's own vertex there were 16, with 287 stages in all."""
+    from pointerforest.operators import reports as R
+
+    since = R.shuffled(spark)[2]
+    got = QUERIES["sql_script_cc_orderpart46"](spark, SF)
+    assert R.shuffled(spark, since)[2] - since < 200
+    assert rows_of(got.toPandas()) == rows_of(duck.sql(SQL["sql_script_cc_orderpart46"]).df())
+
+
 @pytest.mark.parametrize("key", ["cosine3", "cosine4"])
 def test_cosine_graphs_make_no_row_of_a_pair_that_is_no_edge(spark, duck, key):
     from pointerforest.workloads.graphs import GRAPHS
