@@ -132,6 +132,25 @@ def test_a_chain_of_events_needs_few_jobs(spark, written):
     assert len(written) <= 3
 
 
+def test_both_methods_start_from_one_layout(spark, monkeypatch):
+    """It is made once, and the rival, which takes finished trees out, leaves it whole."""
+    from conftest import SF
+
+    from pointerforest.workloads import experiments as X
+
+    edges = [(i, i + 1) for i in range(0, 40, 2)] + [(i, i + 1) for i in range(50, 60)]
+    with Scratch() as scratch:
+        layout, ids, n = A.prepare(*frames(spark, range(64), edges), scratch)
+        for rounds in (B.star_hooking_on, A.rounds_on, B.star_hooking_on):
+            assert labels_of(rounds(layout, ids, n)) == reference(range(64), edges)
+            assert layout.edges.count() == 2 * len(edges)
+        layout.drop()
+    made, write = [], L._write
+    monkeypatch.setattr(L, "_write", lambda *a, **k: made.append(k.get("fresh", False)) or write(*a, **k))
+    a, b, ratio, products, rival_products, rows, rival_rows = X.against_rival(spark, SF, "custorder")
+    assert made.count(True) == 1 and ratio == b / a and 0 < products < rival_products and 0 < rows < rival_rows
+
+
 @pytest.mark.parametrize("tie", A.TIES)
 def test_ties_lead_to_the_same_components(spark, tie):
     edges = [(i, (i * 17 + 5) % 60) for i in range(50)] + [(i, i + 1) for i in range(40, 59)]
