@@ -151,6 +151,21 @@ def test_both_methods_start_from_one_layout(spark, monkeypatch):
     assert made.count(True) == 1 and ratio == b / a and 0 < products < rival_products and 0 < rows < rival_rows
 
 
+def test_density_reads_the_lines_once(spark, duck, monkeypatch):
+    """Every bound keeps all of its edges, also those of which a smaller line comes first."""
+    from conftest import SF
+
+    from pointerforest.workloads import experiments as X
+
+    seen = []
+    monkeypatch.setattr(X, "against_rival", lambda spark, d, key, edges, repeat: seen.append((edges.count(), edges.inputFiles())) or (1.0, 1.0, 1.0, 1, 1, 1, 1))
+    got = X.density_speed(spark, SF).collect()
+    n = duck.sql("SELECT (SELECT count(*) FROM orders) + (SELECT count(*) FROM part)").fetchall()[0][0]
+    for r, (m, files) in zip(got, seen, strict=True):
+        assert m == duck.sql(f"SELECT count(*) FROM (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem WHERE l_quantity >= {r['least']})").fetchall()[0][0]
+        assert r["density"] == 2 * m / n and not any("lineitem" in f for f in files)
+
+
 @pytest.mark.parametrize("tie", A.TIES)
 def test_ties_lead_to_the_same_components(spark, tie):
     edges = [(i, (i * 17 + 5) % 60) for i in range(50)] + [(i, i + 1) for i in range(40, 59)]
