@@ -33,6 +33,8 @@ from ._text import IS_SPACE, U, flat_bytes, groups_of, hash_words, ids_of, ids_o
 
 MAX_ROWS = 20_000
 LEXICON = 400
+#: Bytes of text looked at together, whatever the size of a batch; some forty times as many are held while they are.
+GROUP_BYTES = 1 << 19
 
 # Second-person words of the four languages, without case.
 SECOND_PERSON = "you your yours yourself youre u ur du dich dir dein deine deinen deiner euch euer ihr tu te toi ton ta tes vous votre vos tú ti usted ustedes vosotros"
@@ -227,6 +229,32 @@ class Model:
         return self.trees.score(features(self.lexicon, data, offsets))
 
 
+def in_groups(texts: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+    """Runs of texts of ``GROUP_BYTES`` (or one longer text): first row, row after the last, bytes, offsets."""
+    data, offsets = flat_bytes(texts)
+    for i, j in groups_of(offsets, GROUP_BYTES):
+        yield i, j, data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]
+
+
+def word_counts(texts: pa.Array, toxic: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """For each group of texts its distinct words (hashes) and how many toxic and other texts have each."""
+    for i, j, data, offsets in in_groups(texts):
+        words, counts = plain_words(data, offsets)
+        owner = np.repeat(np.arange(i, j), counts)
+        order = np.lexsort((owner, words))
+        w, o = words[order], owner[order]
+        new = np.append(True, (w[1:] != w[:-1]) | (o[1:] != o[:-1])) if len(w) else np.zeros(0, bool)
+        w, o = w[new], o[new]
+        distinct, which = np.unique(w, return_inverse=True)
+        bad = np.bincount(which, toxic[o], len(distinct)).astype(np.int64)
+        yield distinct, bad, np.bincount(which, minlength=len(distinct)) - bad
+
+
+def text_features(lexicon: Lexicon, texts: pa.Array) -> np.ndarray:
+    parts = [features(lexicon, data, offsets) for _, _, data, offsets in in_groups(texts)]
+    return np.concatenate(parts) if parts else np.zeros((0, len(FEATURES)))
+
+
 def learn_lexicon(sample: DataFrame, *, size: int = LEXICON, least: int = 3, evidence: float = 12.0) -> Lexicon:
     """Words of (text, toxic) rows that stand out in toxic documents, weighed by the log of the ratio of shares.
 
@@ -235,17 +263,10 @@ def learn_lexicon(sample: DataFrame, *, size: int = LEXICON, least: int = 3, evi
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            data, offsets = flat_bytes(batch.column(0))
             toxic = batch.column(1).to_numpy(zero_copy_only=False) > 0
-            words, counts = plain_words(data, offsets)
-            owner = np.repeat(np.arange(len(counts)), counts)
-            order = np.lexsort((owner, words))
-            w, o = words[order], owner[order]
-            new = np.append(True, (w[1:] != w[:-1]) | (o[1:] != o[:-1])) if len(w) else np.zeros(0, bool)
-            w, o = w[new], o[new]
-            distinct, which = np.unique(w, return_inverse=True)
-            bad = np.bincount(which, toxic[o], len(distinct)).astype(np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(distinct.view(np.int64)), pa.array(bad), pa.array(np.bincount(which, minlength=len(distinct)) - bad)], names=["word", "bad", "good"])
+            for word, bad, good in word_counts(batch.column(0), toxic):
+                yield pa.RecordBatch.from_arrays([pa.array(word.view(np.int64)), pa.array(bad), pa.array(good)], names=["word", "bad", "good"])
+            release()
 
     n = sample.agg(F.sum("toxic").alias("bad"), F.count(F.lit(1)).alias("n")).first()
     bad, good = float(n["bad"] or 0), float((n["n"] or 0) - (n["bad"] or 0))
@@ -273,8 +294,9 @@ def train(docs: DataFrame, labels: DataFrame, *, max_rows: int = MAX_ROWS, id_co
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            x = features(lexicon, *flat_bytes(batch.column(0)))
+            x = text_features(lexicon, batch.column(0))
             yield pa.RecordBatch.from_arrays([batch.column(1), batch.column(2), pa.array(list(x), pa.list_(pa.float64()))], names=["toxic", "fold", "x"])
+            release()
 
     rows = found.mapInArrow(run, "toxic int, fold long, x array<double>").collect()
     nothing = Trees(np.zeros((0, 1), np.int64), np.zeros((0, 1)), np.zeros((0, 2)), 0.0, (np.array([0.0, 1.0]), np.array([0.0, 1.0])))
@@ -299,8 +321,7 @@ HELD_OUT = "coalesce(crc32(cast({} AS string)) % 5 = 0, true)"
 
 
 def score_texts(model: Model, texts: pa.Array) -> np.ndarray:
-    data, offsets = flat_bytes(texts)
-    parts = [model.score(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]) for i, j in groups_of(offsets, 1 << 19)]
+    parts = [model.score(data, offsets) for _, _, data, offsets in in_groups(texts)]
     return np.concatenate(parts) if parts else np.zeros(0)
 
 

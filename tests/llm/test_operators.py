@@ -369,6 +369,41 @@ def test_toxicity_on_held_out_rows(spark):
     assert alone == 0.0
 
 
+def test_toxicity_learns_from_large_batches_in_little_memory(spark, monkeypatch):
+    import tracemalloc
+
+    d, labels = spark.read.parquet(f"{SF}/documents.parquet"), spark.read.parquet(f"{SF}/labels.parquet")
+    tasks, kind = [], type(d)
+    given = kind.mapInArrow
+    monkeypatch.setattr(kind, "mapInArrow", lambda self, f, *a, **k: tasks.append(f) or given(self, f, *a, **k))
+    toxicity.train(d, labels)
+    count, look = tasks
+    texts = [r["text"] or "" for r in d.select("text").collect()]
+    texts *= 6_000_000 // sum(len(t.encode()) for t in texts) + 1
+    toxic = pa.array(np.arange(len(texts)) % 3 // 2, pa.int32())
+    batch = [pa.array(texts), toxic]
+    for f, columns in ((count, batch), (look, [*batch, pa.array(np.zeros(len(texts), np.int64))])):
+        big = pa.RecordBatch.from_arrays(columns, names=["text", "toxic", "fold"][: len(columns)])
+        tracemalloc.start()
+        for _ in f(iter([big])):
+            pass
+        peak = tracemalloc.get_traced_memory()[1]
+        tracemalloc.stop()
+        assert peak < 35e6
+    # Groups change nothing: counts add up to those of all texts together, features are those of each text.
+    some = pa.array(texts[:300])
+    bad = np.arange(300) % 3 == 0
+    whole, parts = {}, {}
+    for size, out in ((1 << 40, whole), (1 << 14, parts)):
+        monkeypatch.setattr(toxicity, "GROUP_BYTES", size)
+        for w, b, g in toxicity.word_counts(some, bad):
+            for k, x, y in zip(w.tolist(), b.tolist(), g.tolist(), strict=True):
+                out[k] = (out.get(k, (0, 0))[0] + x, out.get(k, (0, 0))[1] + y)
+    assert whole == parts
+    lexicon = toxicity.Lexicon(np.sort(np.array(list(whole)[:50], np.uint64)), np.ones(50))
+    assert np.array_equal(toxicity.text_features(lexicon, some), toxicity.features(lexicon, *toxicity.flat_bytes(some)))
+
+
 def test_isotonic_and_trees():
     x, y = toxicity.isotonic(np.array([0.1, 0.2, 0.3, 0.4]), np.array([0.0, 1.0, 0.0, 1.0]))
     assert list(x) == sorted(x) and list(y) == sorted(y)
