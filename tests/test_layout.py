@@ -166,6 +166,42 @@ def test_density_reads_the_lines_once(spark, duck, monkeypatch):
         assert r["density"] == 2 * m / n and not any("lineitem" in f for f in files)
 
 
+def test_copies_are_read_off_one_stored_graph(spark, duck, monkeypatch):
+    """The lines are read and made distinct once for all sizes; every size is solved in full, with its right labels."""
+    from conftest import SF
+
+    from pointerforest.workloads import experiments as X
+
+    seen, solve = [], A.connected_components
+
+    def solved(edges, vertices, **options):
+        out = solve(edges, vertices, **options)
+        sizes = out.labels.groupBy("component").count().groupBy("count").count().collect()
+        seen.append((edges.inputFiles() + vertices.inputFiles(), edges.distinct().count(), vertices.count(), {r[0]: r[1] for r in sizes}))
+        return out
+
+    monkeypatch.setattr(A, "connected_components", solved)
+    got = X.replicated_scale(spark, SF).collect()
+    m = duck.sql("SELECT count(*) FROM (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem)").fetchall()[0][0]
+    n = duck.sql("SELECT (SELECT count(*) FROM orders) + (SELECT count(*) FROM part)").fetchall()[0][0]
+    assert [r["copies"] for r in got] == [1, 4, 8] and len({r["iterations"] for r in got}) == 1
+    for r, (files, edges, vertices, sizes) in zip(got, seen, strict=True):
+        assert r["edges"] == edges == m * r["copies"] and vertices == n * r["copies"]
+        assert sizes == {size: k * r["copies"] for size, k in seen[0][3].items()}
+        assert files and not any(t in f for f in files for t in ("lineitem", "orders", "part.parquet"))
+
+
+def test_simple_edges_are_laid_out_as_they_are(spark):
+    edges = [(i, i + 1) for i in range(0, 40, 2)] + [(50, i) for i in range(51, 80)]
+    for hub in (None, 8):  # with and without a vertex dealt to several buckets
+        for simple in (False, True):
+            with Scratch() as scratch:
+                layout, _, n = A.prepare(*frames(spark, range(90), edges), scratch, hub, simple=simple)
+                assert n == 90 and sorted(map(tuple, layout.edges.select("src", "dst").collect())) == sorted(edges + [(b, a) for a, b in edges])
+                layout.drop()
+            assert labels_of(A.connected_components(*frames(spark, range(90), edges), hub_edges=hub, simple=simple)) == reference(range(90), edges)
+
+
 @pytest.mark.parametrize("tie", A.TIES)
 def test_ties_lead_to_the_same_components(spark, tie):
     edges = [(i, (i * 17 + 5) % 60) for i in range(50)] + [(i, i + 1) for i in range(40, 59)]
