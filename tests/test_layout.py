@@ -271,3 +271,11 @@ def test_labels_go_on_after_a_restart(spark, tmp_path):
         seen = [e for q in parts[: k + 1] for e in q]
         assert {r["id"]: r["component"] for r in got.collect()} == reference([x for e in seen for x in e], seen)
     assert len(T.LabelStore(spark, store).versions()) <= 3
+
+
+def test_a_round_of_the_rival_writes_two_tables(spark, written):
+    """What was hooked, with its marks, and the new state; the marks had a table of their own before."""
+    edges = [(0, 3), (3, 1), (1, 2), (5, 6)]
+    run = B.star_hooking_components(*frames(spark, range(8), edges), prune_converged=False)
+    assert labels_of(run) == reference(range(8), edges)
+    assert len(written) == 2 + 2 * run.iterations  # degrees and labels besides
