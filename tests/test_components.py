@@ -10,6 +10,7 @@ from pointerforest.operators import baselines as B
 from pointerforest.operators import edges as E
 from pointerforest.operators import reports as R
 from pointerforest.operators import vectors as V
+from pointerforest.plans.store import Scratch
 
 
 def reference(vertices, edges):
@@ -174,3 +175,31 @@ def test_rounds_of_several_settings_share_one_layout(spark, monkeypatch):
     assert A.rounds_of(graphs, settings[:3], lambda g, s, state, k: seen.append((g, s, k))) == [x[:3] for x in alone]
     assert len(made) == 2 and sorted(seen) == [(g, s, k + 1) for g in range(2) for s in range(3) for k in range(alone[g][s])]
     assert [x[0] for x in A.rounds_of(graphs, settings[3:])] == [x[3] for x in alone]
+
+
+@pytest.mark.parametrize("level", [1, 5])
+def test_vertices_without_edges_are_counted_but_take_no_part(spark, level):
+    """Labels, roots and shares are those of all vertices; the rounds' states hold only vertices with edges."""
+    e, v = frames(spark, range(20), [(4, 5), (5, 6), (7, 7), (9, None)])
+    seen = []
+    whole = A.connected_components(e, v, level=level, on_round=lambda s, k: seen.append(s.count()))
+    assert set(seen) == {20}
+    run = A.connected_components(e, v, level=level)
+    assert labels_of(run) == labels_of(whole) == reference(range(20), [(4, 5), (5, 6)])
+    told = lambda r: [(t["changed_gf"], t["changed_f"], t["roots"], t["frontier_fraction"], t["product"]) for t in r.trace]
+    assert told(run) == told(whole)
+    with Scratch() as scratch:
+        layout, ids, n = A.prepare(e, v, scratch)
+        assert n == ids.count() == 20 and layout.n_alone == 17 and layout.joined.count() == 3
+        assert A.rounds_on(layout, ids, n, level=level).iterations == whole.iterations
+        layout.drop()
+    states = []
+    A.rounds_of([(e, v)], [{"level": level}], lambda g, s, state, k: states.append(state.count()))
+    assert states == [20] * whole.iterations
+
+
+def test_height_of_broken_and_flat_forests(spark):
+    tree = lambda rows: spark.createDataFrame(rows, "id long, f long")
+    assert [R.forest_height(tree(x)) for x in ([(0, 0)], [(0, 0), (1, 0), (2, 0)], [(i, max(i - 1, 0)) for i in range(7)])] == [0, 1, 6]
+    with pytest.raises(ValueError, match="no vertex"):
+        R.forest_height(tree([(1, 1), (2, 9)]))
