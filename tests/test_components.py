@@ -203,3 +203,21 @@ def test_height_of_broken_and_flat_forests(spark):
     assert [R.forest_height(tree(x)) for x in ([(0, 0)], [(0, 0), (1, 0), (2, 0)], [(i, max(i - 1, 0)) for i in range(7)])] == [0, 1, 6]
     with pytest.raises(ValueError, match="no vertex"):
         R.forest_height(tree([(1, 1), (2, 9)]))
+
+
+def test_edges_are_made_once_a_graph(spark):
+    """Degrees, layout and counts read what was written; each of them made the edges anew before."""
+    from pointerforest.workloads import queries as Q
+
+    made = spark.sparkContext.accumulator(0)
+
+    def count(batches):
+        for b in batches:
+            made.add(b.num_rows)
+            yield b
+
+    edges = spark.range(30).selectExpr("id AS src", "(id * 7 + 3) % 20 AS dst").mapInArrow(count, "src long, dst long")
+    assert len(A.rounds_of([(edges, None)], [{"level": 1}, {}])[0]) == 2 and made.value == 30
+    (row,) = Q.stats_of(edges, spark.range(40)).collect()
+    plain = {frozenset((i, (i * 7 + 3) % 20)) for i in range(30)}
+    assert made.value == 60 and row["n"] == 40 and row["directed_edges"] == 2 * sum(len(x) == 2 for x in plain)
